@@ -214,8 +214,8 @@ class TextCodec:
         if len(self.first) > MEMO:
             self.first.clear()
         cut = [cut_chunks(t) for t in texts]
-        fresh_first = {c[0] for c in cut} - self.first.keys()
-        fresh = set().union(*[c[1:] for c in cut]) - self.later.keys() if cut else set()
+        fresh_first = {c[0] for c in cut}.difference(self.first)
+        fresh = set().union(*[c[1:] for c in cut]).difference(self.later)
         self.learn(self.first, list(fresh_first), "")
         self.learn(self.later, list(fresh), " ")
         get = self.later.__getitem__

@@ -65,7 +65,7 @@ class ChunkEncoder:
         """Little-endian unsigned 32-bit ids."""
         first, *rest = cut_chunks(text)
         later = self.later
-        for c in set(rest) - later.keys():
+        for c in set(rest).difference(later):
             later[c] = np.array(self.encode(" " + c), "<u4").tobytes()
         lead = self.first.get(first)
         if lead is None:
@@ -115,27 +115,13 @@ def cut_pieces(docs: DataFrame, path: str, pattern: str, capacity: int = CAPACIT
 # ---------------------------------------------------------------- patterns (driver, histogram only)
 
 
-def enumerate_patterns(lengths: np.ndarray, counts: np.ndarray, capacity: int) -> list[tuple[int, ...]]:
-    """Patterns of one to four present lengths that fill a sequence exactly, or as far as one or two can."""
-    have = np.zeros(capacity + 1, np.int64)
-    have[lengths] = counts
-    present = [int(x) for x in lengths[::-1]]
-    below = np.zeros(capacity + 1, np.int64)  # largest present length up to an index
-    below[lengths] = lengths
-    below = np.maximum.accumulate(below)
-    out = {(x,) for x in present}
-    for a in present:
-        rest = capacity - a
-        for b in {int(below[rest]), int(below[rest // 2]), int(below[2 * rest // 3]), int(below[rest // 3])} - {0}:
-            if b <= a:
-                out.add((a, b))
-            left = rest - b
-            c = int(below[left]) if left > 0 else 0
-            if c:
-                out.add(tuple(sorted((a, b, c), reverse=True)))
-                if d := int(below[left - c]):
-                    out.add(tuple(sorted((a, b, c, d), reverse=True)))
-    return sorted(out, reverse=True)
+def enumerate_patterns(left: np.ndarray, capacity: int, most: int = 4) -> list[tuple[int, ...]]:
+    """Few-document patterns: all pairs of present lengths that fill a sequence exactly, and the
+    patterns of at most ``most`` pieces that a best-fit trial on the histogram opens."""
+    here = {int(x) for x in np.flatnonzero(left)}
+    pairs = {(a, capacity - a) for a in here if capacity - a in here and 2 * a >= capacity}
+    trial = {p for p, _ in best_fit(left, capacity) if len(p) <= most}
+    return sorted(pairs | trial, reverse=True)
 
 
 def fit_counts(patterns: list[tuple[int, ...]], hist: np.ndarray, capacity: int, sweeps: int = SWEEPS) -> np.ndarray:
@@ -203,10 +189,9 @@ def plan_patterns(hist: dict[int, int], capacity: int = CAPACITY) -> list[tuple[
     if left[capacity]:
         plan.append(((capacity,), int(left[capacity])))
         left[capacity] = 0
-    lengths = np.flatnonzero(left)
-    if len(lengths):
-        patterns = [p for p in enumerate_patterns(lengths, left[lengths], capacity) if capacity - sum(p) <= capacity // 256]
-        fitted = fit_counts(patterns, left, capacity) if patterns else np.zeros(0)
+    if left.any():
+        patterns = enumerate_patterns(left, capacity)
+        fitted = fit_counts(patterns, left, capacity)
         for i in sorted(range(len(patterns)), key=lambda i: (sum(patterns[i]) != capacity, -fitted[i])):
             at, m = np.unique(patterns[i], return_counts=True)
             n = min(int(fitted[i] + 0.5), int((left[at] // m).min()))

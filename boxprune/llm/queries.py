@@ -17,6 +17,12 @@ def _vocabulary(name: str) -> str:
     return os.path.join(root, name) if root else public_tokenizers.path(name)
 
 
+def op3_combination_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from boxprune.llm.jaccard import jaccard_components
+
+    return jaccard_components(table(spark, sf_dir, "documents"))
+
+
 def op4_pack_patterns(spark: SparkSession, sf_dir: str) -> DataFrame:
     from boxprune.llm.packing import pack_documents
 
@@ -36,17 +42,40 @@ def op6_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op9_boosted_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from boxprune.llm.pii import KINDS, find_spans, span_digest
+
+    found = find_spans(table(spark, sf_dir, "documents"))
+    base = F.filter("spans", lambda s: s["kind"] != "secret")
+    of_kind = F.transform("spans", lambda s: s["kind"])
+    counts = [(F.size(of_kind) - F.size(F.array_remove(of_kind, k))).cast("long").alias(f"n_{k}") for k in KINDS]
+    return found.select("doc_id", *counts, F.sha2(span_digest(base), 256).alias("base_sha256"), span_digest(F.col("spans")).alias("spans"))
+
+
 def op8_site_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     from boxprune.llm.lines import drop_boilerplate
 
     return drop_boilerplate(table(spark, sf_dir, "documents"), counts=True).select("doc_id", "n_lines", "n_dropped", "text")
 
 
-QUERIES = {f.__name__: f for f in (op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op8_site_lines)}
+QUERIES = {f.__name__: f for f in (op3_combination_jaccard, op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op8_site_lines, op9_boosted_pii)}
 
 _WORD = r"[^\x20\x09-\x0D]+"
 
 ORACLES = {
+    "op3_combination_jaccard": rf"""
+WITH RECURSIVE t AS (SELECT doc_id, translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS x FROM documents),
+w AS (SELECT doc_id, regexp_extract_all(x, '{_WORD}') AS ws FROM t),
+s AS (SELECT doc_id, CASE WHEN len(ws) = 0 THEN []::VARCHAR[] WHEN len(ws) < 3 THEN [array_to_string(ws, ' ')]
+  ELSE list_distinct(list_transform(generate_series(1, len(ws) - 2), lambda i: array_to_string(ws[i:i+2], ' '))) END AS g FROM w),
+n AS MATERIALIZED (SELECT doc_id, len(g) AS n FROM s),
+e AS MATERIALIZED (SELECT doc_id, unnest(g) AS g FROM s),
+i AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c FROM e a JOIN e b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
+l AS MATERIALIZED (SELECT a, b FROM i JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b WHERE 100 * c >= 90 * (na.n + nb.n - c)),
+d AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+r AS (SELECT doc_id AS x, doc_id AS y FROM n UNION SELECT d.b, r.y FROM r JOIN d ON d.a = r.x),
+c AS (SELECT x, min(y) AS y FROM r GROUP BY x)
+SELECT n.doc_id, n.n::BIGINT AS n_shingles, c.y AS component_id FROM n JOIN c ON c.x = n.doc_id""",
     "op6_host_quality": rf"""
 WITH t AS (SELECT doc_id, coalesce(text, '') AS text, source, row_number() OVER () AS rid FROM documents),
 w AS (SELECT rid, regexp_extract_all(text, '{_WORD}') AS ws FROM t),
