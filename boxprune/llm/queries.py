@@ -17,6 +17,15 @@ def _vocabulary(name: str) -> str:
     return os.path.join(root, name) if root else public_tokenizers.path(name)
 
 
+def op1_chat_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from boxprune.llm.chat import conversation_digests, format_turns, read_turns
+
+    path, pattern = _vocabulary("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    probe = spark.range(2).select(F.lit(-1).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit("</s>[INST] ok [/INST]").alias("text"))
+    return conversation_digests(read_turns(format_turns(turns.unionByName(probe), path, pattern), path, pattern))
+
+
 def op3_combination_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     from boxprune.llm.jaccard import jaccard_components
 
@@ -52,17 +61,35 @@ def op9_boosted_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(span_digest(base), 256).alias("base_sha256"), span_digest(F.col("spans")).alias("spans"))
 
 
+def op10_hnsw_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from boxprune.llm.hnsw import nearest_neighbours
+
+    return nearest_neighbours(table(spark, sf_dir, "embeddings"), F.col("id") % 100 == 0)
+
+
 def op8_site_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     from boxprune.llm.lines import drop_boilerplate
 
     return drop_boilerplate(table(spark, sf_dir, "documents"), counts=True).select("doc_id", "n_lines", "n_dropped", "text")
 
 
-QUERIES = {f.__name__: f for f in (op3_combination_jaccard, op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op8_site_lines, op9_boosted_pii)}
+QUERIES = {f.__name__: f for f in (op1_chat_tokens, op3_combination_jaccard, op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op8_site_lines, op9_boosted_pii, op10_hnsw_shards)}
 
 _WORD = r"[^\x20\x09-\x0D]+"
 
+#: Control strings of the chat template, as in chat.CONTROLS.
+_CONTROL = r"<\|turn\|>|<\|text\|>|<\|end\|>|<s>|</s>|\[INST\]|\[/INST\]|<<SYS>>|<</SYS>>|<\|im_start\|>|<\|im_end\|>|<\|endoftext\|>|<\|system\|>|<\|user\|>|<\|assistant\|>"
+
 ORACLES = {
+    "op1_chat_tokens": rf"""
+WITH t AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, i, CASE i WHEN 0 THEN 'user' ELSE 'assistant' END, '</s>[INST] ok [/INST]' FROM range(2) r(i))
+SELECT conv_id, count(*)::BIGINT AS n_turns,
+  sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+  coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0)::BIGINT AS loss_chars,
+  sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+  sum(length(role) + length(text) + 25 + len(regexp_extract_all(role, '{_CONTROL}')) + len(regexp_extract_all(text, '{_CONTROL}')))::BIGINT AS formatted_chars
+FROM t GROUP BY conv_id""",
     "op3_combination_jaccard": rf"""
 WITH RECURSIVE t AS (SELECT doc_id, translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS x FROM documents),
 w AS (SELECT doc_id, regexp_extract_all(x, '{_WORD}') AS ws FROM t),
