@@ -214,7 +214,8 @@ def search_index(index: DataFrame, queries: DataFrame, k: int, ef: int = EF_SEAR
     blocks = max(1, -(-queries.count() // query_rows))
     queries = queries.withColumn("block", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
     met = index.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    asked = queries.join(index.select("dim", "shard"), "dim")
+    shards = index.select(F.col("dim").alias("to_dim"), F.col("shard").alias("to_shard"))
+    asked = queries.join(shards, F.col("dim") == F.col("to_dim")).select("to_dim", "to_shard", F.col("block").alias("to_block"), "id", "vec")
 
     def search(key, left: pa.Table, right: pa.Table) -> pa.Table:
         out: list[tuple] = []
@@ -228,8 +229,7 @@ def search_index(index: DataFrame, queries: DataFrame, k: int, ef: int = EF_SEAR
                 out += [(qid, i, s) for s, i in found[:k]]
         return pa.table({"query_id": pa.array([o[0] for o in out], pa.int64()), "vec_id": pa.array([o[1] for o in out], pa.int64()), "score": pa.array([o[2] for o in out], pa.float64())})
 
-    keys = ["dim", "shard", "block"]
-    found = met.groupBy(*keys).cogroup(asked.groupBy(*keys)).applyInArrow(search, "query_id long, vec_id long, score double")
+    found = met.groupBy("dim", "shard", "block").cogroup(asked.groupBy("to_dim", "to_shard", "to_block")).applyInArrow(search, "query_id long, vec_id long, score double")
     nearest = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return found.withColumn("rank", F.row_number().over(nearest)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

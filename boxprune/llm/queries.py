@@ -51,6 +51,12 @@ def op6_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op7_fm_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from boxprune.llm.substring import repeated_passages
+
+    return repeated_passages(table(spark, sf_dir, "documents"))
+
+
 def op9_boosted_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     from boxprune.llm.pii import KINDS, find_spans, span_digest
 
@@ -73,7 +79,7 @@ def op8_site_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drop_boilerplate(table(spark, sf_dir, "documents"), counts=True).select("doc_id", "n_lines", "n_dropped", "text")
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_tokens, op3_combination_jaccard, op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op8_site_lines, op9_boosted_pii, op10_hnsw_shards)}
+QUERIES = {f.__name__: f for f in (op1_chat_tokens, op3_combination_jaccard, op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op7_fm_passages, op8_site_lines, op9_boosted_pii, op10_hnsw_shards)}
 
 _WORD = r"[^\x20\x09-\x0D]+"
 
@@ -123,6 +129,14 @@ r AS (SELECT source, (f + m * s) / (n + s) > 0.5 AS bad FROM h, p)
 SELECT doc_id, n_words::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols,
   n_dup_lines::BIGINT AS n_dup_lines, n_repeat_words::BIGINT AS n_repeat_words, base_failed, (NOT base_failed AND NOT r.bad) AS kept
 FROM b JOIN r ON b.source IS NOT DISTINCT FROM r.source""",
+    "op7_fm_passages": rf"""
+WITH w AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '{_WORD}') AS ws FROM documents),
+g AS (SELECT doc_id, i, hash(array_to_string(ws[i:i+49], ' ')) AS g FROM (SELECT doc_id, ws, unnest(generate_series(1, len(ws) - 49)) AS i FROM w WHERE len(ws) >= 50)),
+m AS (SELECT doc_id, i, min(doc_id) OVER (PARTITION BY g) < doc_id AS again FROM g),
+r AS (SELECT DISTINCT doc_id, i + unnest(range(50)) AS p FROM m WHERE again),
+x AS (SELECT doc_id, unnest(ws) AS word, generate_subscripts(ws, 1) AS p FROM w),
+k AS (SELECT x.doc_id, count(r.p) AS n, string_agg(x.word, ' ' ORDER BY x.p) FILTER (WHERE r.p IS NULL) AS kept FROM x LEFT JOIN r USING (doc_id, p) GROUP BY x.doc_id)
+SELECT w.doc_id, len(w.ws)::BIGINT AS n_words, coalesce(k.n, 0)::BIGINT AS n_removed, sha256(coalesce(k.kept, '')) AS kept_sha256 FROM w LEFT JOIN k USING (doc_id)""",
     "op8_site_lines": r"""
 WITH t AS (SELECT doc_id, text, source, row_number() OVER () AS rid FROM documents),
 l AS (SELECT rid, source, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS i FROM t WHERE text IS NOT NULL),
