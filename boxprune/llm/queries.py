@@ -26,6 +26,15 @@ def op1_chat_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return conversation_digests(read_turns(format_turns(turns.unionByName(probe), path, pattern), path, pattern))
 
 
+def op2_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from boxprune.llm.langid import predict_languages, train_field
+
+    docs = table(spark, sf_dir, "documents")
+    held_out = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1, F.lit(False))
+    field = train_field(docs, ~held_out)
+    return predict_languages(docs, field).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
+
+
 def op3_combination_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     from boxprune.llm.jaccard import jaccard_components
 
@@ -79,7 +88,7 @@ def op8_site_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drop_boilerplate(table(spark, sf_dir, "documents"), counts=True).select("doc_id", "n_lines", "n_dropped", "text")
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_tokens, op3_combination_jaccard, op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op7_fm_passages, op8_site_lines, op9_boosted_pii, op10_hnsw_shards)}
+QUERIES = {f.__name__: f for f in (op1_chat_tokens, op2_crf_language, op3_combination_jaccard, op4_pack_patterns, op5_segment_tree_bpe, op6_host_quality, op7_fm_passages, op8_site_lines, op9_boosted_pii, op10_hnsw_shards)}
 
 _WORD = r"[^\x20\x09-\x0D]+"
 
