@@ -1,7 +1,7 @@
 """All-kNN joins: brute force, pruned by manifests, with predicates, and what follows from them.
 
 Points are frames of id, part_id, x_0 … Results are (origin_id, neighbour_id, rank, distance), ties by the
-smaller neighbour_id. Rows with null coordinates are not points; NaN and infinite coordinates make their partition's
+smaller neighbour_id. Rows with null or NaN coordinates are not points; infinite coordinates make their partition's
 box unusable, so it is never skipped.
 """
 
@@ -56,7 +56,7 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
 
     def best(row_ids, ids, d):
         if exclude_self:
-            d = np.where(row_ids[:, None] == ids[None, :], np.inf, d)
+            d = np.where(row_ids[:, None] == ids[None, :], np.nan, d)  # sorted last, not emitted
         # ids are sorted, so in stable order ties go to the smaller; the full sort is only for rows tied at the k-th place
         if d.shape[1] > 4 * k:
             part = np.sort(np.argpartition(d, k, axis=1)[:, :k], axis=1)
@@ -74,7 +74,7 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
         out = ([], [], [])
 
         def emit(ids, picked, d2):
-            ok = np.isfinite(d2)
+            ok = ~np.isnan(d2)
             out[0].append(np.repeat(ids, ok.sum(axis=1)))
             out[1].append(picked[ok])
             out[2].append(d2[ok])
@@ -97,7 +97,7 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
                         lo, hi = max(0, mid - width), min(len(xs), mid + width)
                         near = np.sort(order[lo:hi])
                         keep, d2 = best(ra[i : i + 1], rb[near], squares(a[i : i + 1], b[near]))
-                        worst = d2[0, -1] if d2.shape[1] == k else np.inf
+                        worst = d2[0, -1] if d2.shape[1] == k and not np.isnan(d2[0, -1]) else np.inf
                         left_ok = lo == 0 or (a[i, 0] - xs[lo - 1]) ** 2 > worst
                         right_ok = hi == len(xs) or (xs[hi] - a[i, 0]) ** 2 > worst
                         if left_ok and right_ok:
@@ -128,7 +128,7 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
                         at = stop
                         near = np.sort(np.array(taken))
                         keep, d2 = best(ra[i : i + 1], rb[near], squares(a[i : i + 1], b[near]))
-                        worst = d2[0, -1] if d2.shape[1] == k else np.inf
+                        worst = d2[0, -1] if d2.shape[1] == k and not np.isnan(d2[0, -1]) else np.inf
                     emit(ra[i : i + 1], rb[near][keep], d2)
         cat = lambda x, t: pa.array(np.concatenate(x) if x else np.zeros(0), t)
         return pa.table({"origin_id": cat(out[0], pa.int64()), "neighbour_id": cat(out[1], pa.int64()), "d2": cat(out[2], pa.float64())})

@@ -16,7 +16,7 @@ def bounds(dims: int) -> list[Column]:
 
 
 def real_points(points: DataFrame, dims: int) -> DataFrame:
-    """Rows with a null coordinate are not points."""
+    """Rows with a null or NaN coordinate are not points."""
     return points.dropna(subset=[f"x_{i}" for i in range(dims)])
 
 

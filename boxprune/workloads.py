@@ -952,7 +952,7 @@ def udtf_prune(spark, sf):
     register_prune(spark)
     o, t = (stored(m) for m in _sides(spark, sf, CUSTOMERS, SUPPLIERS))
     P.prefiltered(o, t, 3, 2).select("o_id", "b_id", "b_n", *[f"{p}_{e}_{i}" for i in range(2) for p in "ob" for e in ("lo", "hi")]).createOrReplaceTempView("boxprune_survivors")
-    return spark.sql("SELECT * FROM prune_partitions(TABLE(boxprune_survivors) PARTITION BY o_id, 3)")
+    return spark.sql("SELECT * FROM prune_partitions(TABLE(boxprune_survivors) PARTITION BY (o_id), 3)")
 
 
 _EV = "SELECT ts, value FROM events"
