@@ -58,14 +58,14 @@ def drop_boilerplate(docs: DataFrame, text_col: str = "text", host_col: str = "s
     """
     bad = stored(boilerplate(docs, text_col, host_col, ratio, min_pages))
     few = bad.count() <= BROADCAST_LINES
-    by_host = bad.groupBy(F.col("host").alias("_bad_host")).agg(F.collect_list("key").alias("_bad"))
+    by_host = bad.groupBy(F.col("host").alias("__boxprune_host")).agg(F.collect_list("key").alias("__boxprune_bad"))
     if few:
         by_host = F.broadcast(by_host)
     lines = F.split(F.col(text_col), "\n")
-    kept = F.filter(lines, lambda x: ~F.array_contains(F.col("_bad"), _line_key(x)) | ~_worded(x))
-    out = docs.join(by_host, F.col(host_col).eqNullSafe(F.col("_bad_host")), "left")
-    out = out.withColumn("_kept", F.when(F.col("_bad").isNotNull(), kept))
-    text = F.when(F.col("_kept").isNull(), F.col(text_col)).otherwise(F.array_join("_kept", "\n"))
+    kept = F.filter(lines, lambda x: ~F.array_contains(F.col("__boxprune_bad"), _line_key(x)) | ~_worded(x))
+    out = docs.join(by_host, F.col(host_col).eqNullSafe(F.col("__boxprune_host")), "left")
+    out = out.withColumn("__boxprune_kept", F.when(F.col("__boxprune_bad").isNotNull(), kept))
+    text = F.when(F.col("__boxprune_kept").isNull(), F.col(text_col)).otherwise(F.array_join("__boxprune_kept", "\n"))
     total = F.coalesce(F.size(lines), F.lit(0))
-    extra = [F.when(F.col(text_col).isNull(), 0).otherwise(total).cast("long").alias("n_lines"), F.when(F.col("_kept").isNull(), 0).otherwise(total - F.size("_kept")).cast("long").alias("n_dropped")] if counts else []
+    extra = [F.when(F.col(text_col).isNull(), 0).otherwise(total).cast("long").alias("n_lines"), F.when(F.col("__boxprune_kept").isNull(), 0).otherwise(total - F.size("__boxprune_kept")).cast("long").alias("n_dropped")] if counts else []
     return out.select(*[text.alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns], *extra)

@@ -241,8 +241,8 @@ def train(proposed: DataFrame) -> tuple[tuple[float, list[tuple]], float, dict]:
     return model, calibrate(cells, model), cells
 
 
-def find_spans(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """All columns and ``spans``: array of (start, order, end, kind), by start and kind; code points, end exclusive."""
+def find_spans(docs: DataFrame, text_col: str = "text", spans_col: str = "spans") -> DataFrame:
+    """All columns and ``spans_col`` (which replaces one of that name): array of (start, order, end, kind), by start and kind; code points, end exclusive."""
     text = blank_text(text_col)
     proposals = _matches(text, _PROPOSE, "[0-9]", BEFORE)
     model, limit, cells = train(docs.select(proposals.alias("proposals")))
@@ -252,7 +252,7 @@ def find_spans(docs: DataFrame, text_col: str = "text") -> DataFrame:
         chosen = sorted("".join(map(str, k)) for k in cells if tree_score(model, list(k)) >= limit)
         secret = F.filter(proposals, lambda m: F.concat(*[c.cast("string") for c in features(m).values()]).isin(chosen))
         spans = F.concat(spans, _as_spans(secret, SECRET, len(KINDS)))
-    return docs.withColumn("spans", F.array_sort(spans))
+    return docs.withColumn(spans_col, F.array_sort(spans))
 
 
 def span_digest(spans: Column) -> Column:
@@ -262,7 +262,8 @@ def span_digest(spans: Column) -> Column:
 
 def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """The documents with each run of overlapping spans replaced by its first kind in brackets."""
-    found = find_spans(docs, text_col)
+    spans = "__boxprune_spans"
+    found = find_spans(docs, text_col, spans)
     text = F.col(text_col)
 
     def part(start, end):
@@ -274,5 +275,5 @@ def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
         end = F.array_max(F.transform(spans, lambda s: s["end"]))
         return F.concat(F.array_join(pieces, ""), part(end, F.length(text).cast("long")))
 
-    new = F.when(F.size("spans") > 0, let(F.col("spans"), cleaned)).otherwise(text)
+    new = F.when(F.size(spans) > 0, let(F.col(spans), cleaned)).otherwise(text)
     return found.select(*[new.alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
