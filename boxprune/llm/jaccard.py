@@ -11,8 +11,8 @@ Within a signature's list, each set is first compared with the member that has l
 of still different components are paired. So a large group of near copies costs a few comparisons a
 member, not all pairs; no list is capped and no pair of different components is skipped.
 
-Null or wordless text has the empty set and is linked with nothing. Repeated rows are one node. An empty table
-gives an empty result. Further columns are not touched.
+Null or wordless text has the empty set and is linked with nothing. Repeated rows are one node. A row without id shares
+the class of equal texts only. An empty table gives an empty result. Further columns are not touched.
 """
 
 from __future__ import annotations
@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from boxprune.llm.graph import components
 from boxprune.llm.kernels import U, as_long, mix, shingle_sets, slices
-from boxprune.llm.shared import BROADCAST_ROWS, stored
+from boxprune.llm.shared import BROADCAST_ROWS, discard, stored
 
 #: At most so many frequent tokens are broadcast (8 bytes each); the class border follows from it.
 HOT_TOKENS = 1 << 19
@@ -38,7 +38,10 @@ TRIPLE = 32
 SMALL = 32
 #: Tokens in one counting bucket, about.
 BUCKET_TOKENS = 2_000_000
+#: Bits of a set's parity bitmap.
+BITMAP = 1024
 
+_WORDS = [f"b{i}" for i in range(BITMAP // 64)]
 _HALF = U(1) << U(63)
 _NO_NODES = 1_000_000
 
@@ -61,12 +64,17 @@ def _sets(column, k, folded):
 
 
 def _nodes(docs: DataFrame, k: int, folded: bool, kind: str) -> DataFrame:
+    """id, n, node and the words of the parity bitmap of each text's set."""
+
     def job(batches):
         for b in batches:
-            for at, n, size, node, _, _ in _sets(b.column(1), k, folded):
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(at, n), pa.array(size.astype(np.int64)), pa.array(as_long(node))], names=["id", "n", "node"])
+            for at, n, size, node, _, sh in _sets(b.column(1), k, folded):
+                own = np.repeat(np.arange(n), size)
+                flips = np.bincount(own * BITMAP + (sh & U(BITMAP - 1)).astype(np.int64), minlength=n * BITMAP) & 1
+                words = np.packbits(flips.astype(np.uint8)).view(np.int64).reshape(n, -1)
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(at, n), pa.array(size.astype(np.int64)), pa.array(as_long(node)), *[pa.array(np.ascontiguousarray(words[:, i])) for i in range(len(_WORDS))]], names=["id", "n", "node", *_WORDS])
 
-    return docs.mapInArrow(job, f"id {kind}, n long, node long")
+    return docs.mapInArrow(job, f"id {kind}, n long, node long, " + ", ".join(f"{w} long" for w in _WORDS))
 
 
 def _blob(x: np.ndarray) -> bytes:
@@ -74,13 +82,13 @@ def _blob(x: np.ndarray) -> bytes:
 
 
 def _frequent(docs: DataFrame, k: int, folded: bool, total: int) -> DataFrame:
-    """hash, df of the counted tokens that are in MIN_HOT sets or more.
+    """key, df of the counted tokens that are in MIN_HOT sets or more.
 
-    Sorted runs of 64-bit hashes travel as blobs by ranges of the hash; a token is sent once for each run
-    of texts, so a token of every set costs one row a run.
+    A token is counted under its bucket (the leading bits of the counted half) and the next 32 bits, so tokens
+    may share a count, which only moves them to another class. Sorted runs of keys travel as blobs; a token is
+    sent once for each run of texts, so a token of every set costs one row a run.
     """
-    buckets = max(1, total // 2 // BUCKET_TOKENS)
-    borders = np.array([int(_HALF) * i // buckets for i in range(buckets + 1)], np.uint64)
+    bits = max(0, (total // 2 // BUCKET_TOKENS)).bit_length()
 
     def send(batches):
         seen: set[int] = set()
@@ -90,30 +98,37 @@ def _frequent(docs: DataFrame, k: int, folded: bool, total: int) -> DataFrame:
                 if not len(fresh):
                     continue
                 tokens = np.concatenate([sh[first[i] : first[i] + size[i]] for i in fresh])
-                h, c = np.unique(tokens[tokens < _HALF], return_counts=True)
+                keys, c = np.unique(_count_key(tokens[tokens < _HALF], bits), return_counts=True)
                 one = c == 1
                 runs = []
-                for hashes, counts in ((h[one], None), (h[~one], c[~one].astype(np.int64))):
-                    cuts = np.searchsorted(hashes, borders)
-                    for i in range(buckets):
-                        if cuts[i] < cuts[i + 1]:
-                            runs.append((i, _blob(hashes[cuts[i] : cuts[i + 1]]), None if counts is None else _blob(counts[cuts[i] : cuts[i + 1]])))
-                yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in runs], pa.int32()), pa.array([r[1] for r in runs], pa.binary()), pa.array([r[2] for r in runs], pa.binary())], names=["bucket", "hashes", "counts"])
-
-    def count(table: pa.Table) -> pa.Table:
-        hs, cs = [], []
-        for x, c in zip(table.column("hashes").to_pylist(), table.column("counts").to_pylist(), strict=True):
-            hs.append(np.frombuffer(x, np.uint64))
-            cs.append(np.ones(len(hs[-1]), np.int64) if c is None else np.frombuffer(c, np.int64))
-        h, c = np.concatenate(hs), np.concatenate(cs)
-        order = np.argsort(h)
-        h, c = h[order], c[order]
-        at = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
-        df = np.add.reduceat(c, at)
+                for part, counts in ((keys[one], None), (keys[~one], c[~one].astype(np.uint32))):
+                    bucket = (part >> U(32)).astype(np.int64)
+                    cuts = np.searchsorted(bucket, np.arange((1 << bits) + 1))
+                    for i in np.flatnonzero(cuts[1:] > cuts[:-1]):
+                        at = slice(cuts[i], cuts[i + 1])
+                        runs.append((i, part[at].astype(np.uint32).tobytes(), None if counts is None else counts[at].tobytes()))
+                yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in runs], pa.int32()), pa.array([r[1] for r in runs], pa.binary()), pa.array([r[2] for r in runs], pa.binary())], names=["bucket", "keys", "counts"])
+
+    def count(key, table):
+        ks, cs = [], []
+        for x, c in zip(table.column("keys").to_pylist(), table.column("counts").to_pylist(), strict=True):
+            ks.append(np.frombuffer(x, np.uint32))
+            cs.append(np.ones(len(ks[-1]), np.uint32) if c is None else np.frombuffer(c, np.uint32))
+        x, c = np.concatenate(ks), np.concatenate(cs)
+        order = np.argsort(x)
+        x, c = x[order], c[order]
+        at = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]]))
+        df = np.add.reduceat(c.astype(np.int64), at)
         hot = df >= MIN_HOT
-        return pa.table({"hash": as_long(h[at][hot]), "df": df[hot]})
+        return pa.table({"key": x[at][hot].astype(np.int64) | int(key[0].as_py()) << 32, "df": df[hot]})
+
+    counted = docs.mapInArrow(send, "bucket int, keys binary, counts binary").groupBy("bucket").applyInArrow(count, "key long, df long")
+    return counted.withColumn("bits", F.lit(bits))
 
-    return docs.mapInArrow(send, "bucket int, hashes binary, counts binary").groupBy("bucket").applyInArrow(count, "hash long, df long")
+
+def _count_key(h: np.ndarray, bits: int) -> np.ndarray:
+    """Bucket and 32 bits of hashes of the counted half."""
+    return h << U(1) >> U(32 - bits)
 
 
 def _fresh(size: np.ndarray, node: np.ndarray, seen: set[int]) -> np.ndarray:
@@ -129,8 +144,8 @@ def _fresh(size: np.ndarray, node: np.ndarray, seen: set[int]) -> np.ndarray:
     return np.array(out, np.int64)
 
 
-def _hot_classes(frequent: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted frequent tokens and their combination size, at most HOT_TOKENS of them."""
+def _hot_classes(frequent: DataFrame) -> tuple[np.ndarray, np.ndarray, int]:
+    """Sorted keys of frequent tokens and their combination size, at most HOT_TOKENS of them, and the key's bucket bits."""
     by_power = {int(r["p"]): int(r["c"]) for r in frequent.groupBy(F.floor(F.log2("df")).alias("p")).agg(F.count(F.lit(1)).alias("c")).collect()}  # at most 63 rows
     border, held = MIN_HOT, 0
     for p in sorted(by_power, reverse=True):
@@ -138,12 +153,11 @@ def _hot_classes(frequent: DataFrame) -> tuple[np.ndarray, np.ndarray]:
         if held > HOT_TOKENS:
             border = 2 ** (p + 1)
             break
-    rows = frequent.where(F.col("df") >= border).toPandas()
-    rows = rows.sort_values("hash", key=lambda s: s.astype("uint64")) if len(rows) else rows
-    return rows["hash"].to_numpy(np.int64).view(np.uint64), np.where(rows["df"].to_numpy() >= border * TRIPLE, 3, 2)
+    rows = frequent.where(F.col("df") >= border).toPandas().sort_values("key")
+    return rows["key"].to_numpy(np.int64).astype(np.uint64), np.where(rows["df"].to_numpy() >= border * TRIPLE, 3, 2), int(rows["bits"].max()) if len(rows) else 0
 
 
-def _signatures(docs: DataFrame, k: int, folded: bool, hot: tuple[np.ndarray, np.ndarray], num: int, den: int) -> DataFrame:
+def _signatures(docs: DataFrame, k: int, folded: bool, hot: tuple[np.ndarray, np.ndarray, int], num: int, den: int) -> DataFrame:
     """sig, node, n, lost."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(hot)
@@ -176,7 +190,7 @@ def _signatures(docs: DataFrame, k: int, folded: bool, hot: tuple[np.ndarray, np
         return out
 
     def job(batches):
-        hashes, sizes = shared.value
+        keys, sizes, bits = shared.value
         seen: set[int] = set()
         for b in batches:
             for _, n, size, node, first, sh in _sets(b.column(0), k, folded):
@@ -189,9 +203,10 @@ def _signatures(docs: DataFrame, k: int, folded: bool, hot: tuple[np.ndarray, np
                 pick = mine[own]
                 own, sh = own[pick], sh[pick]
                 cls = np.ones(len(sh), np.int8)
-                if len(hashes):
-                    at = np.minimum(np.searchsorted(hashes, sh), len(hashes) - 1)
-                    hit = hashes[at] == sh
+                if len(keys):
+                    mine_keys = _count_key(sh, bits)
+                    at = np.minimum(np.searchsorted(keys, mine_keys), len(keys) - 1)
+                    hit = (keys[at] == mine_keys) & (sh < _HALF)
                     cls[hit] = sizes[at[hit]]
                 zone = np.where(sh >= _HALF, 3, cls - 1).astype(np.int8)
                 order = np.lexsort((sh, zone, own))
@@ -225,6 +240,13 @@ def _may_link(a: str, b: str, num: int, den: int):
     return (((num + den) * (F.col(f"{a}.n") - F.col(f"{a}.lost"))) >= need) & (((num + den) * (F.col(f"{b}.n") - F.col(f"{b}.lost"))) >= need)
 
 
+def _close(p: str, q: str, num: int, den: int):
+    """Sets differ in at least as many tokens as their parity bitmaps differ in bits; the overlap that is left must do."""
+    apart = sum((F.bit_count(F.col(f"{p}.{w}").bitwiseXOR(F.col(f"{q}.{w}"))) for w in _WORDS), F.lit(0))
+    total = F.col(f"{p}.n") + F.col(f"{q}.n")
+    return (num + den) * (total - apart) >= 2 * num * total
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     """The pairs (a, b) whose sets are similar enough."""
 
@@ -232,8 +254,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
         for b in batches:
             keep = []
             for x, y in zip(b.column("x").to_pylist(), b.column("y").to_pylist(), strict=True):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                both = np.concatenate([x, y])
+                both = np.concatenate([np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)])
                 both.sort()
                 shared = int((both[1:] == both[:-1]).sum())
                 keep.append(den * shared >= num * (len(both) - shared))
@@ -244,16 +265,19 @@ def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
     return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(job, "a long, b long")
 
 
-def _token_sets(docs: DataFrame, wanted: DataFrame, k: int, folded: bool) -> DataFrame:
-    """node, tokens (sorted hashes) of the wanted (id, node)."""
+def _token_sets(docs: DataFrame, marks: DataFrame, pairs: DataFrame, k: int, folded: bool, repeated: bool) -> DataFrame:
+    """node, tokens (sorted hashes) of the nodes in pairs."""
 
     def job(batches):
         for b in batches:
-            for at, n, size, node, first, sh in _sets(b.column(1), k, folded):
+            for _, n, size, node, first, sh in _sets(b.column(1), k, folded):
                 yield pa.RecordBatch.from_arrays([pa.array(as_long(node)), pa.array([_blob(sh[first[i] : first[i] + size[i]]) for i in range(n)], pa.binary())], names=["node", "tokens"])
 
-    side = F.broadcast(wanted.select("id")) if wanted.count() <= BROADCAST_ROWS else wanted.select("id")
-    return docs.join(side, "id", "left_semi").select("id", "text").mapInArrow(job, "node long, tokens binary").dropDuplicates(["node"])
+    nodes = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
+    wanted = stored(marks.join(nodes, "node", "left_semi").select("id"))
+    side = F.broadcast(wanted) if wanted.count() <= BROADCAST_ROWS else wanted
+    sets = docs.join(side, "id", "left_semi").select("id", "text").mapInArrow(job, "node long, tokens binary")
+    return sets.dropDuplicates(["node"]) if repeated else sets
 
 
 def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, num: int = 90, den: int = 100, folded: bool = True) -> DataFrame:
@@ -266,24 +290,31 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     hot = _hot_classes(stored(_frequent(texts, k, folded, total)))
     signatures = stored(_signatures(texts, k, folded, hot, num, den))
 
-    shared = signatures.groupBy("sig").agg(F.min(F.struct("lost", "node", "n")).alias("hub"), F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("sig", "hub")
-    lists = stored(signatures.join(shared, "sig").distinct())
-    member, hub = F.col("m.node"), F.col("m.hub.node")
-    star = lists.alias("m").where(member != hub).select(F.struct("m.n", "m.lost").alias("p"), F.struct(F.col("m.hub.n").alias("n"), F.col("m.hub.lost").alias("lost")).alias("q"), F.least(member, hub).alias("a"), F.greatest(member, hub).alias("b"))
+    # a list counts once for each task that saw a copy of its node, so lists of one node are only sorted out below
+    met = signatures.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("sig")
+    lists = stored(signatures.join(met, "sig").distinct())
+    discard(signatures)
+    hubs = lists.groupBy("sig").agg(F.min(F.struct("lost", "node", "n")).alias("hub"), F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("sig", "hub")
+    member, hub = F.col("m.node"), F.col("h.hub.node")
+    star = lists.alias("m").join(hubs.alias("h"), "sig").where(member != hub)
+    star = star.select(F.struct("m.n", "m.lost").alias("p"), F.struct(F.col("h.hub.n").alias("n"), F.col("h.hub.lost").alias("lost")).alias("q"), F.least(member, hub).alias("a"), F.greatest(member, hub).alias("b"))
     star = stored(star.where(_may_link("p", "q", num, den)).select("a", "b").distinct())
 
-    nodes = lists.select("node").distinct()
-    representatives = base.where("n > 0").groupBy("node").agg(F.min("id").alias("id"))
-    sets = stored(_token_sets(docs, stored(representatives.join(nodes, "node", "left_semi")), k, folded))
-    links = stored(_verified(star, sets, num, den))
+    first = base.where("n > 0").groupBy("node").agg(F.min("id").alias("id"))
+    repeated = base.groupBy("id").agg(F.count(F.lit(1)).alias("c")).where("c > 1").limit(1).count() > 0
+    marks = base.join(first, ["node", "id"]).join(lists.select("node").distinct(), "node", "left_semi")
+    marks = stored(marks.dropDuplicates(["node"]) if repeated else marks)
+    near = star.join(marks.alias("p"), F.col("a") == F.col("p.node")).join(marks.alias("q"), F.col("b") == F.col("q.node")).where(_close("p", "q", num, den))
+    near = stored(near.select("a", "b"))
+    links = stored(_verified(near, stored(_token_sets(docs, marks, near, k, folded, repeated)), num, den))
     comps = components(links)
 
-    labelled = lists.join(comps, "node", "left").select("sig", "node", "n", "lost", F.coalesce("comp", "node").alias("comp"))
+    labelled = lists.join(comps, "node", "left").select("sig", "node", "lost", F.coalesce("comp", "node").alias("comp"))
     split = labelled.groupBy("sig").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("sig")
-    open_ = stored(labelled.join(split, "sig", "left_semi"))
-    rest = open_.alias("p").join(open_.alias("q"), (F.col("p.sig") == F.col("q.sig")) & (F.col("p.node") < F.col("q.node")) & (F.col("p.comp") != F.col("q.comp")) & _may_link("p", "q", num, den))
+    open_ = stored(labelled.join(split, "sig", "left_semi").join(marks.drop("id"), "node"))
+    rest = open_.alias("p").join(open_.alias("q"), (F.col("p.sig") == F.col("q.sig")) & (F.col("p.node") < F.col("q.node")) & (F.col("p.comp") != F.col("q.comp")) & _may_link("p", "q", num, den) & _close("p", "q", num, den))
     rest = stored(rest.select(F.col("p.node").alias("a"), F.col("q.node").alias("b")).distinct().join(star, ["a", "b"], "left_anti"))
-    more = stored(_verified(rest, sets, num, den))
+    more = stored(_verified(rest, stored(_token_sets(docs, marks, rest, k, folded, repeated)), num, den))
     comps = components(links.union(more))
 
     classed = base.join(comps, "node", "left").select("id", "n", F.coalesce("comp", "node").alias("comp"))
