@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from boxprune.llm.kernels import _LANES, U, Texts, as_long, mix, slices
-from boxprune.llm.shared import stored
+from boxprune.llm.shared import small_side, stored
 
 WIDTH = 50
 #: Words hashed for an anchor.
@@ -306,11 +306,12 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     docs = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     base = stored(_base(docs, "bigint"))
     reps = base.where(F.col("n_words") >= width).groupBy("node").agg(F.min("id").alias("rep"))
-    firsts = stored(base.join(reps, "node").where(F.col("id") == F.col("rep")).select("id").distinct())
+    firsts = small_side(stored(base.join(reps, "node").where(F.col("id") == F.col("rep")).select("id").distinct()))
     mine = docs.join(firsts, "id", "left_semi").select(F.col("id").alias("rep"), "text")
 
     found = stored(_anchor_rows(mine, width))
     shared = found.groupBy("anchor").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo <> hi").select("anchor")
+    shared = stored(shared)  # a table of its own, so that the join below can split a hot anchor
     wanted = stored(found.join(shared, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("anchors")))  # at most a document's own anchors
     joined = mine.join(wanted, "rep").select("rep", "text", "anchors")
     rows = stored(_context_rows(joined, width))
@@ -321,7 +322,8 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     gone = places.join(runs, "context").where(F.col("least") < F.col("rep"))
     gone = gone.select("rep", F.struct((F.col("start") + F.col("first")).alias("from"), (F.col("start") + F.col("first") + F.col("count") - 1 + width).alias("to")).alias("run"))
     gone = stored(gone.groupBy("rep").agg(F.collect_set("run").alias("runs")))  # at most a document's own windows
-    cut = stored(_cut(mine.join(gone, "rep").select("rep", "text", "runs"), width).dropDuplicates(["rep"]))
+    hit = mine.join(small_side(stored(gone.select("rep"))), "rep", "left_semi")  # only texts that lose words are sent
+    cut = stored(_cut(hit.join(gone, "rep").select("rep", "text", "runs"), width).dropDuplicates(["rep"]))
 
     whole = hashlib.sha256(b"").hexdigest()
     out = base.join(reps.select("node", F.col("rep").alias("first_id")), "node", "left").join(cut, F.col("id") == F.col("rep"), "left")
