@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from boxprune.llm.jaccard import jaccard_components
-from boxprune.llm.lines import drop_boilerplate
+from boxprune.llm.lines import LARGE, drop_boilerplate
 from boxprune.llm.packing import pack_documents
 from boxprune.llm.pii import redact
 from boxprune.llm.quality import quality_verdicts
@@ -31,7 +31,7 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return drop_boilerplate(docs)
+    return drop_boilerplate(docs, large=LARGE)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

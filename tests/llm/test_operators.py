@@ -301,6 +301,16 @@ def test_lines_odd_texts(spark):
     assert drop_boilerplate(docs(spark, ["x"]).limit(0)).count() == 0
 
 
+def test_lines_on_a_tenth_of_a_large_host(spark):
+    """The pipeline drops them there; the stricter rule still holds on small hosts, and rare lines stay."""
+    import corpus_pipeline as c
+
+    texts = [f"own {i}" + "\noften" * (i % 10 == 0) + "\nrare" * (i % 50 == 0) for i in range(400)] + [f"small {i}\nmenu" + "\npair" * (i < 2) for i in range(4)]
+    out = {r.doc_id: r.text for r in c.line_stage(spark, docs(spark, texts, ["large"] * 400 + ["small"] * 4), "").collect()}
+    assert [out[i] for i in range(400)] == [f"own {i}" + "\nrare" * (i % 50 == 0) for i in range(400)]
+    assert [out[400 + i] for i in range(4)] == [f"small {i}" + "\npair" * (i < 2) for i in range(4)]
+
+
 def brute_passages(texts, width):
     first = {}
     for i, t in enumerate(texts):
