@@ -96,8 +96,11 @@ ORDERS = Points("orders", "o_orderkey", (_order_day[0], "o_totalprice/200"), 250
 ORDERS_FINE = _grid_of(ORDERS, 125)
 ORDERS_HASHED = Points("orders", "o_orderkey", ORDERS.axes, None, "o_orderkey % 64", ORDERS.duck_axes)
 URGENT = Points("orders", "o_orderkey", ORDERS.axes, 60, None, ORDERS.duck_axes, None, "o_orderpriority = '1-URGENT'")
-LINES_3D = Points("lineitem", "l_orderkey*8 + l_linenumber", ("l_quantity*2", "l_extendedprice/1000", f"{_ship_day[0]}/24"), 25)
-LINES_4D = Points("lineitem", "l_orderkey*8 + l_linenumber", (*LINES_3D.axes, "l_discount*1000"), 50)
+#: Order and line number repeat, so rows that share them are numbered; lines that are equal in every column are the same point.
+_LINE_KEY = "coalesce(l_orderkey*8 + l_linenumber, -1)"
+_LINE_ID = f"{_LINE_KEY}*67108864 + row_number() OVER (PARTITION BY {_LINE_KEY} ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) - 1"
+LINES_3D = Points("lineitem", _LINE_ID, ("l_quantity*2", "l_extendedprice/1000", f"{_ship_day[0]}/24"), 25)
+LINES_4D = Points("lineitem", _LINE_ID, (*LINES_3D.axes, "l_discount*1000"), 50)
 _hours = ("CAST(timestampdiff(MICROSECOND, TIMESTAMP_NTZ'2024-01-01 00:00:00', ts) AS DOUBLE)/CAST(3600000000 AS DOUBLE)", "CAST(epoch_us(ts) - 1704067200000000 AS DOUBLE)/CAST(3600000000 AS DOUBLE)")
 EVENTS = Points("events", "event_id", (_hours[0], "value"), 60, None, (_hours[1], "value"))
 EVENTS_FILED = Points("events", "event_id", EVENTS.axes, None, "CAST(floor(event_id/200) AS BIGINT)", EVENTS.duck_axes)

@@ -178,3 +178,23 @@ def test_queries_without_sql_equal_brute_force(spark, sf, name):
     frame = p.frame(spark, sf)
     want = tuples(J.join_kept(frame, frame, prune.keep_none(p.manifest(spark, sf), p.manifest(spark, sf), p.dims), 10, p.dims, local="block"))
     assert tuples(w.QUERIES[name](spark, sf)) == want
+
+
+@pytest.mark.parametrize("name", ["knn_pruned_3d", "knn_pruned_4d"])
+def test_every_line_has_its_own_neighbours(spark, sf, name):
+    """Each row of the table has an id and ten neighbours (itself among them, as in the test above), by numpy over all pairs."""
+    from boxprune import workloads as w
+
+    p = w.LINES_3D if name.endswith("3d") else w.LINES_4D
+    rows = p.frame(spark, sf).toPandas().sort_values("id")
+    ids, x = rows["id"].to_numpy(), rows[[f"x_{i}" for i in range(p.dims)]].to_numpy()
+    assert len(set(ids)) == len(ids) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+    got = w.QUERIES[name](spark, sf).toPandas().sort_values(["origin_id", "rank"])
+    assert got["origin_id"].tolist() == np.repeat(ids, 10).tolist()
+    want = np.empty((len(ids), 10), np.int64)
+    for i in range(len(ids)):
+        d2 = np.zeros(len(ids))
+        for j in range(p.dims):
+            d2 = d2 + (x[i, j] - x[:, j]) ** 2
+        want[i] = ids[np.argsort(d2, kind="stable")[:10]]
+    assert (got["neighbour_id"].to_numpy().reshape(-1, 10) == want).all()
