@@ -189,6 +189,20 @@ def test_bpe_equals_both_libraries():
     assert c.bpe.encode_pieces(pieces) == [c.bpe._merge_long(p) for p in pieces]
 
 
+def test_packed_ids_equal_the_library_at_its_default(spark):
+    from tokenizers import Tokenizer
+
+    from boxprune.llm.packing import cut_pieces
+
+    end = "<|endoftext|>"
+    texts = [*WEIRD, f"a {end} b", end, end * 3, f"  {end}\n{end}x", f"<|{end}|>", "<|endoftext", f"a\u00e9{end} \u65e5 ", f"{end} don't"]
+    tok = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
+    want = [[*e.ids, 2] for e in tok.encode_batch(texts, add_special_tokens=False)]
+    assert want[len(WEIRD)] == [64, 220, 50256, 275, 2]
+    rows = cut_pieces(docs(spark, texts), P.path("byte_bpe_50k.json"), P.PATTERN, capacity=4096, with_ids=True).collect()
+    assert [r.ids for r in sorted(rows, key=lambda r: r.doc_id)] == want
+
+
 def test_bpe_frames(spark):
     from boxprune.llm.bpe import decode_documents, encode_documents, round_trip_digests
 
