@@ -174,7 +174,7 @@ def _signatures(docs: DataFrame, k: int, folded: bool, hot: tuple[np.ndarray, np
                 if run > tau:
                     break
                 if c == 1 or not group:
-                    out.setdefault(t, run)
+                    out[t] = min(out.get(t, run), run)  # bounds differ by size class; only the least loses no link
                     run += 1
                     continue
                 mates = held.setdefault((c, t % buckets), [])

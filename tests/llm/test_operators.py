@@ -153,6 +153,24 @@ def test_combinations_are_complete(spark, monkeypatch):
     assert got == dict(enumerate(brute_components(texts, 3, 90, 100)))
 
 
+def test_combinations_keep_the_smallest_bound_of_all_size_classes(spark, monkeypatch):
+    """35 and 36 tokens lie on both sides of a class border; the two frequent ones do not meet in a bucket."""
+    import pyarrow as pa
+
+    from boxprune.llm import jaccard
+
+    monkeypatch.setattr(jaccard, "MIN_HOT", 2)
+    names = [f"v{i}" for i in range(200)]
+    token = dict(zip(names, np.concatenate([x[-1] for x in jaccard._sets(pa.array(names), 1, True)]).tolist(), strict=True))
+    counted = [w for w in names if token[w] < 1 << 63]
+    hot = [next(w for w in counted if token[w] % 2 == i) for i in (0, 1)]
+    other = sorted((w for w in names if token[w] >= 1 << 63), key=token.get)
+    x = hot + other[:33]
+    texts = [" ".join(x), " ".join([*x, other[-1]])]
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard.jaccard_components(docs(spark, texts), k=1).collect()}
+    assert got == dict(enumerate(brute_components(texts, 1, 90, 100))) == {0: (35, 0), 1: (36, 0)}
+
+
 def test_jaccard_empty_and_repeated_rows(spark):
     from boxprune.llm.jaccard import jaccard_components
 
