@@ -7,12 +7,15 @@ sums modulo 2^64, then mixed. All functions work on whole texts.
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 
 U = np.uint64
+_LIBC = ctypes.CDLL(None)
 _RNG = np.random.Generator(np.random.PCG64(20240607))
 _BYTE = _RNG.integers(1, 2**63, 256, dtype=np.uint64) * U(2) + U(1)
 _FOLDED = _BYTE.copy()
@@ -31,14 +34,25 @@ _powers: dict[int, np.ndarray] = {}
 
 
 def _power(base: int, n: int) -> np.ndarray:
+    """Powers of base; those of one slice are kept."""
     have = _powers.get(base)
     if have is None or len(have) < n:
         steps = np.full(max(n, SLICE_BYTES + 1), base, np.uint64)
         steps[0] = 1
-        have = _powers[base] = np.multiply.accumulate(steps)
+        have = np.multiply.accumulate(steps)
+        _powers[base] = have[: SLICE_BYTES + 1].copy()
     return have[:n]
 
 
+def release() -> None:
+    """Give memory that a finished task no longer needs back to the system; workers live on for further tasks."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(_LIBC, "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     h = h.astype(np.uint64, copy=True)
     h ^= h >> U(30)
@@ -71,6 +85,18 @@ class Texts:
         return start, end, of, self.span_hash(start, end, folded)
 
     def span_hash(self, start: np.ndarray, end: np.ndarray, folded: bool = False) -> np.ndarray:
+        """Hashes of spans that follow one another; a long text is taken by runs of spans, which gives the same hashes."""
+        if len(self.data) > 2 * SLICE_BYTES and len(start) > 1:
+            out, i = np.empty(len(start), np.uint64), 0
+            while i < len(start):
+                j = max(i + 1, int(np.searchsorted(end, start[i] + SLICE_BYTES, side="right")))
+                part = Texts(self.data[start[i] : end[j - 1]], np.array([0, end[j - 1] - start[i]]))
+                out[i:j] = part._hash(start[i:j] - start[i], end[i:j] - start[i], folded)
+                i = j
+            return out
+        return self._hash(start, end, folded)
+
+    def _hash(self, start: np.ndarray, end: np.ndarray, folded: bool) -> np.ndarray:
         sums = np.zeros(len(self.data) + 1, np.uint64)
         np.cumsum((_FOLDED if folded else _BYTE)[self.data] * _power(_STEP, len(self.data)), out=sums[1:])
         back = _power(_BACK, len(self.data) + 1)
@@ -78,6 +104,8 @@ class Texts:
 
     def count(self, flags: np.ndarray) -> np.ndarray:
         """Number of set bytes of each text."""
+        if len(flags) > 2 * SLICE_BYTES:  # few texts
+            return np.array([np.count_nonzero(flags[a:b]) for a, b in zip(self.offsets[:-1], self.offsets[1:], strict=True)], np.int64)
         sums = np.zeros(len(self.data) + 1, np.int64)
         np.cumsum(flags, out=sums[1:])
         return sums[self.offsets[1:]] - sums[self.offsets[:-1]]

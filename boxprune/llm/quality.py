@@ -1,8 +1,8 @@
 """Quality rules with host-level verdicts.
 
-Each text gets counts over its words and lines and a base verdict. Failures are then summed by
-host; the hosts' failure rates are shrunk towards a beta prior fitted to all hosts by moments, and
-documents of hosts whose shrunk rate exceeds ``host_limit`` are rejected as well.
+Each text gets counts over its words and lines and fails or passes some rules. Failures of each rule are
+summed by host; the hosts' failure rates are shrunk towards a beta prior that is fitted to all hosts by moments, one prior a
+rule, and documents of hosts with a shrunk rate above ``host_limit`` under any rule are rejected as well.
 
 Null or empty text has no words and fails the base rule. A null host is a host of its own. Repeated
 rows are judged one by one. An empty table gives an empty result. Further columns are not touched.
@@ -10,12 +10,16 @@ rows are judged one by one. An empty table gives an empty result. Further column
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import or_
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from boxprune.llm.kernels import U, mix, slices, windows
+from boxprune.llm.shared import small_side, stored
 
 #: Fixed values of the base rule.
 SYMBOLS = "#*$%&|<>"
@@ -93,31 +97,61 @@ def base_failed():
     return (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > REPEAT_PERCENT * F.col("n_words"))
 
 
-def host_rates(judged: DataFrame, host_limit: float = HOST_LIMIT) -> DataFrame:
-    """One row a host: documents, failures, shrunk failure rate, verdict.
+#: The rule of a document's own verdict.
+BASE = {"base": base_failed}
+#: Rules whose failures count for hosts: beside the base rule, a tenth of symbols, words shorter than two characters on
+#: average, and a repeated line for each ten words.
+HOST_RULES = BASE | {
+    "symbols": lambda: 10 * F.col("n_symbols") > F.col("word_chars"),
+    "short_words": lambda: F.col("word_chars") < 2 * F.col("n_words"),
+    "repeated_lines": lambda: 10 * F.col("n_dup_lines") > F.col("n_words"),
+}
+
+#: Hosts that may be broadcast (a name and a verdict each).
+BROADCAST_HOSTS = 200_000
 
-    Prior by moments over hosts: mean m and variance v of the raw rates give the strength
-    s = m(1-m)/v - 1, kept within 1 to 1e6; a = m s, b = (1-m) s.
-    """
-    hosts = judged.groupBy("host").agg(F.count(F.lit(1)).alias("host_docs"), F.sum(F.col("base_failed").cast("long")).alias("host_failed"))
-    rate = F.col("host_failed") / F.col("host_docs")
-    prior = hosts.agg(F.avg(rate).alias("m"), F.var_pop(rate).alias("v"))
-    strength = F.when(F.col("v") > 0, F.least(F.greatest(F.col("m") * (1 - F.col("m")) / F.col("v") - 1, F.lit(1.0)), F.lit(1e6))).otherwise(F.lit(1e6))
-    prior = prior.select("m", strength.alias("s"))
-    return (
-        hosts.crossJoin(F.broadcast(prior))  # one row of priors
-        .withColumn("host_rate", (F.col("host_failed") + F.col("m") * F.col("s")) / (F.col("host_docs") + F.col("s")))
-        .withColumn("host_rejected", F.col("host_rate") > host_limit)
-        .select("host", "host_docs", "host_failed", "host_rate", "host_rejected")
-    )
-
-
-def quality_verdicts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", host_limit: float = HOST_LIMIT) -> DataFrame:
-    """One row a document: its counts, base_failed, the host's shrunk rate and the final verdict."""
-    from boxprune.llm.shared import small_side, stored
 
+def host_rates(counted: DataFrame, host_limit: float = HOST_LIMIT, rules: dict = BASE) -> DataFrame:
+    """One row a host: documents, and for each rule its failures and shrunk failure rate; and the verdict.
+
+    Prior of a rule by moments over hosts: mean m and variance v of the raw rates give the strength
+    s = m(1-m)/v - 1, kept within 1 to 1e6; a = m s, b = (1-m) s. Sums are partial before the shuffle, so a host of any
+    size costs a row a task.
+    """
+    sums = [F.sum(rule().cast("long")).alias(f"failed_{name}") for name, rule in rules.items()]
+    hosts = counted.groupBy("host").agg(F.count(F.lit(1)).alias("host_docs"), *sums)
+    moments = []
+    for name in rules:
+        rate = F.col(f"failed_{name}") / F.col("host_docs")
+        m, v = F.avg(rate), F.var_pop(rate)
+        strength = F.when(v > 0, F.least(F.greatest(m * (1 - m) / v - 1, F.lit(1.0)), F.lit(1e6))).otherwise(F.lit(1e6))
+        moments += [m.alias(f"m_{name}"), strength.alias(f"s_{name}")]
+    out = hosts.crossJoin(F.broadcast(hosts.agg(*moments)))  # one row of priors
+    rates = {f"rate_{n}": (F.col(f"failed_{n}") + F.col(f"m_{n}") * F.col(f"s_{n}")) / (F.col("host_docs") + F.col(f"s_{n}")) for n in rules}
+    out = out.withColumns(rates).withColumn("host_rejected", reduce(or_, [F.col(c) > host_limit for c in rates]))
+    return out.drop(*[f"{x}_{n}" for n in rules for x in "ms"])
+
+
+def quality_verdicts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", host_limit: float = HOST_LIMIT, rules: dict = BASE) -> DataFrame:
+    """One row a document: its counts, base_failed, what its host's rates are and the final verdict."""
     judged = stored(document_counts(docs, id_col, text_col, host_col).withColumn("base_failed", base_failed()))
-    hosts = stored(host_rates(judged, host_limit))
-    hosts = small_side(hosts)
+    hosts = small_side(stored(host_rates(judged, host_limit, rules)), BROADCAST_HOSTS)
     out = judged.join(hosts, judged["host"].eqNullSafe(hosts["host"]), "left").drop(hosts["host"])
     return out.withColumn("kept", ~F.col("base_failed") & ~F.coalesce(F.col("host_rejected"), F.lit(False)))
+
+
+def keep_good(docs: DataFrame, text_col: str = "text", host_col: str = "source", host_limit: float = HOST_LIMIT, rules: dict = HOST_RULES) -> DataFrame:
+    """The rows of docs that pass, with all of their columns. Each row carries its own verdict, so ids play no part."""
+    counted = document_counts(docs.withColumn("__boxprune_id", F.lit(0)), "__boxprune_id", text_col, host_col)
+    hosts = host_rates(counted, host_limit, rules).select(F.col("host").alias("__boxprune_host"), F.col("host_rejected").alias("__boxprune_rejected"))
+    hosts = small_side(stored(hosts.where("__boxprune_rejected")), BROADCAST_HOSTS)
+    at = docs.columns.index(text_col)
+
+    def job(batches):
+        for b in batches:
+            words, *_, repeats = text_counts(b.column(at))
+            failed = (words < MIN_WORDS) | (100 * repeats > REPEAT_PERCENT * words)
+            yield b.filter(pa.array(~failed))
+
+    passed = docs.mapInArrow(job, docs.schema)
+    return passed.join(hosts, passed[host_col].cast("string").eqNullSafe(hosts["__boxprune_host"]), "left_anti")

@@ -3,49 +3,35 @@
 from __future__ import annotations
 
 import gc
-import tempfile
-import uuid
+import time
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from boxprune.sources.scratch import discard
+from boxprune.sources.scratch import stored as _stored
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where none is configured."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not root:
-        root = "file://" + tempfile.mkdtemp(prefix="boxprune-")
-        spark.sparkContext.setCheckpointDir(root)
-    return root
+_cleaned = [0.0]
 
 
 def stored(df: DataFrame) -> DataFrame:
-    """Write a frame as a table in the shared folder and read it back.
-
-    This cuts the lineage, survives the loss of executors, and gives the optimizer the true size,
-    so that joins with it are broadcast only under the session's own threshold.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/stored-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._stored_at = path
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()  # lets Spark delete the shuffle files of finished steps
+    """As the core's ``stored``; at times it also lets Spark delete the shuffle files of finished steps, which hold until the
+    driver collects garbage."""
+    out = _stored(df)
+    if time.monotonic() - _cleaned[0] > CLEAN_SECONDS:
+        gc.collect()
+        df.sparkSession.sparkContext._jvm.System.gc()
+        _cleaned[0] = time.monotonic()
     return out
 
 
-def discard(*frames: DataFrame) -> None:
-    """Delete stored tables that no later step reads."""
-    for df in frames:
-        spark = df.sparkSession
-        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(df._stored_at)
-        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
-
+#: Seconds between two such collections.
+CLEAN_SECONDS = 10.0
 
 #: Rows of at most two longs that may be broadcast (32 MB); larger frames are joined by a shuffle.
 BROADCAST_ROWS = 1_000_000
@@ -58,3 +44,6 @@ def small_side(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
 
 def blank_text(col: str = "text"):
     return F.coalesce(F.col(col), F.lit(""))
+
+
+__all__ = ["BROADCAST_ROWS", "blank_text", "discard", "small_side", "stored", "table"]
