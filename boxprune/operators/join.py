@@ -2,19 +2,22 @@
 
 Points are frames of id, part_id, x_0 … Results are (origin_id, neighbour_id, rank, distance), ties by the
 smaller neighbour_id. Rows with null or NaN coordinates are not points; infinite coordinates make their partition's
-box unusable, so it is never skipped.
+box unusable, so it is never skipped. Rows without a partition id are a partition of their own.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from boxprune.functions.dominance import dominates
-from boxprune.functions.geometry import Box, clearance_sq, dist_sq, point, reach_sq
+from boxprune.functions.geometry import Box, clearance_sq, dist_sq, min_max_dist_sq, point, reach_sq
 from boxprune.plans import prune
+from boxprune.plans.prune import same
 from boxprune.sources.manifest import filtered_counts, from_rows, real_points, validated, with_counts
 from boxprune.sources.scratch import stored
 
@@ -54,18 +57,18 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
             d = d + x * x
         return d
 
-    def best(row_ids, ids, d):
-        if exclude_self:
-            d = np.where(row_ids[:, None] == ids[None, :], np.nan, d)  # sorted last, not emitted
-        # ids are sorted, so in stable order ties go to the smaller; the full sort is only for rows tied at the k-th place
-        if d.shape[1] > 4 * k:
-            part = np.sort(np.argpartition(d, k, axis=1)[:, :k], axis=1)
+    want = k + exclude_self  # the row itself may take one place
+
+    def best(d):
+        # ids are sorted, so in stable order ties go to the smaller; the full sort is only for rows tied at the last place
+        if d.shape[1] > 4 * want:
+            part = np.sort(np.argpartition(d, want, axis=1)[:, :want], axis=1)
             keep = np.take_along_axis(part, np.argsort(np.take_along_axis(d, part, axis=1), axis=1, kind="stable"), axis=1)
             last = np.take_along_axis(d, keep[:, -1:], axis=1)
-            tied = np.flatnonzero((d <= last).sum(axis=1) > k)
-            keep[tied] = np.argsort(d[tied], axis=1, kind="stable")[:, :k]
+            tied = np.flatnonzero((d <= last).sum(axis=1) > want)
+            keep[tied] = np.argsort(d[tied], axis=1, kind="stable")[:, :want]
         else:
-            keep = np.argsort(d, axis=1, kind="stable")[:, :k]
+            keep = np.argsort(d, axis=1, kind="stable")[:, :want]
         return keep, np.take_along_axis(d, keep, axis=1)
 
     def job(left, right):
@@ -74,7 +77,7 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
         out = ([], [], [])
 
         def emit(ids, picked, d2):
-            ok = ~np.isnan(d2)
+            ok = picked != ids[:, None] if exclude_self else np.ones(picked.shape, bool)
             out[0].append(np.repeat(ids, ok.sum(axis=1)))
             out[1].append(picked[ok])
             out[2].append(d2[ok])
@@ -85,19 +88,19 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
             if how == "block":
                 step = max(1, 4_000_000 // len(b))
                 for at in range(0, len(a), step):
-                    keep, d2 = best(ra[at : at + step], rb, squares(a[at : at + step], b))
+                    keep, d2 = best(squares(a[at : at + step], b))
                     emit(ra[at : at + step], rb[keep], d2)
             elif how == "axis":
                 order = np.argsort(b[:, 0], kind="stable")
                 xs = b[order, 0]
                 for i in range(len(a)):
-                    width = k + 1
+                    width = want + 1
                     mid = int(np.searchsorted(xs, a[i, 0]))
                     while True:
                         lo, hi = max(0, mid - width), min(len(xs), mid + width)
                         near = np.sort(order[lo:hi])
-                        keep, d2 = best(ra[i : i + 1], rb[near], squares(a[i : i + 1], b[near]))
-                        worst = d2[0, -1] if d2.shape[1] == k and not np.isnan(d2[0, -1]) else np.inf
+                        keep, d2 = best(squares(a[i : i + 1], b[near]))
+                        worst = d2[0, -1] if d2.shape[1] == want and not np.isnan(d2[0, -1]) else np.inf
                         left_ok = lo == 0 or (a[i, 0] - xs[lo - 1]) ** 2 > worst
                         right_ok = hi == len(xs) or (xs[hi] - a[i, 0]) ** 2 > worst
                         if left_ok and right_ok:
@@ -127,8 +130,8 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
                             taken += members[c]
                         at = stop
                         near = np.sort(np.array(taken))
-                        keep, d2 = best(ra[i : i + 1], rb[near], squares(a[i : i + 1], b[near]))
-                        worst = d2[0, -1] if d2.shape[1] == k and not np.isnan(d2[0, -1]) else np.inf
+                        keep, d2 = best(squares(a[i : i + 1], b[near]))
+                        worst = d2[0, -1] if d2.shape[1] == want and not np.isnan(d2[0, -1]) else np.inf
                     emit(ra[i : i + 1], rb[near][keep], d2)
         cat = lambda x, t: pa.array(np.concatenate(x) if x else np.zeros(0), t)
         return pa.table({"origin_id": cat(out[0], pa.int64()), "neighbour_id": cat(out[1], pa.int64()), "d2": cat(out[2], pa.float64())})
@@ -136,43 +139,76 @@ def _local_blocks(dims: int, k: int, exclude_self: bool, how: str):
     return job
 
 
-def join_kept(r: DataFrame, s: DataFrame, pairs: DataFrame, k: int, dims: int, exclude_self: bool = False, local: str = "window", ties: str = "none") -> DataFrame:
-    """The k nearest over kept pairs (origin_id, part_id)."""
+#: Rows of either side that one task compares at once; larger partitions are dealt to several.
+CHUNK_ROWS = 4096
+
+
+def _sizes(points: DataFrame, dims: int, manifest: DataFrame | None) -> DataFrame:
+    return (manifest if manifest is not None else from_rows(points, dims)).select("part_id", F.ceil(F.col("n_rows") / CHUNK_ROWS).cast("int").alias("chunks"))
+
+
+def join_kept(r: DataFrame, s: DataFrame, pairs: DataFrame, k: int, dims: int, exclude_self: bool = False, local: str = "window", ties: str = "none", origins: DataFrame | None = None, train: DataFrame | None = None) -> DataFrame:
+    """The k nearest over kept pairs (origin_id, part_id).
+
+    Row pairs are formed by equi-joins ("window"), or blocks of rows meet in Python ("block", "axis", "cell"): each side of a kept
+    pair is dealt to chunks of CHUNK_ROWS by the counts of the manifests, so a large partition is many tasks.
+    """
     a, b = _side(r, "r_", dims), _side(s, "s_", dims)
     pairs = pairs.select("origin_id", "part_id")
     if local == "window":
-        met = a.join(pairs, F.col("r_part") == F.col("origin_id")).join(b, F.col("part_id") == F.col("s_part"))
+        met = a.join(pairs, same("r_part", "origin_id")).join(b, same("part_id", "s_part"))
         if exclude_self:
             met = met.where("r_id <> s_id")
         return top_k(met.select(F.col("r_id").alias("origin_id"), F.col("s_id").alias("neighbour_id"), dist_sq(point("r_", dims), point("s_", dims)).alias("d2")), k, ties)
     if ties == "all":
         raise ValueError("ties='all' needs local='window'")
-    left = a.join(pairs, F.col("r_part") == F.col("origin_id")).withColumn("l_part", F.col("part_id"))
-    right = b.join(pairs, F.col("s_part") == F.col("part_id")).select(F.col("origin_id").alias("q_origin"), F.col("part_id").alias("q_part"), "s_id", *[f"s_x_{i}" for i in range(dims)])
-    met = left.groupBy("r_part", "l_part").cogroup(right.groupBy("q_origin", "q_part"))
+    left_sizes = _sizes(r, dims, origins).select(F.col("part_id").alias("a_id"), F.col("chunks").alias("a_chunks"))
+    right_sizes = _sizes(s, dims, train).select(F.col("part_id").alias("b_id"), F.col("chunks").alias("b_chunks"))
+    pairs = pairs.join(left_sizes, same("origin_id", "a_id")).join(right_sizes, same("part_id", "b_id")).drop("a_id", "b_id")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    mine = lambda row, n: F.pmod(F.xxhash64(row), F.col(n)).cast("int")
+    keys = ["origin_id", "part_id", "a_chunk", "b_chunk"]
+    left = a.join(pairs, same("r_part", "origin_id")).withColumn("a_chunk", mine("r_id", "a_chunks")).withColumn("b_chunk", every("b_chunks")).select(*keys, "r_id", *[f"r_x_{i}" for i in range(dims)])
+    right = b.join(pairs, same("s_part", "part_id")).withColumn("b_chunk", mine("s_id", "b_chunks")).withColumn("a_chunk", every("a_chunks")).select(*[F.col(c).alias(f"to_{c}") for c in keys], "s_id", *[f"s_x_{i}" for i in range(dims)])
+    met = left.groupBy(*keys).cogroup(right.groupBy(*[f"to_{c}" for c in keys]))
     return top_k(met.applyInArrow(_local_blocks(dims, k, exclude_self, local), "origin_id long, neighbour_id long, d2 double"), k)
 
 
-def knn(r: DataFrame, s: DataFrame, k: int, dims: int, rule: str = "counted", plan: str = "two_step", exclude_self: bool = False, local: str = "window", ties: str = "none", refine: str | None = None) -> DataFrame:
+def knn(r: DataFrame, s: DataFrame, k: int, dims: int, rule: str = "counted", plan: str = "auto", exclude_self: bool = False, local: str | None = None, ties: str = "none", refine: str | None = None) -> DataFrame:
     """Exact pruned join: manifests, kept pairs, then rows of kept partitions only."""
+    local = local or ("window" if ties == "all" else "block")
     origins, train = stored(validated(from_rows(r, dims), dims)), stored(validated(from_rows(s, dims), dims))
+    if rule == "minmax":
+        return _knn_minmax(r, s, origins, train, k, dims, exclude_self)
     pairs = stored(prune.keep_pairs(origins, train, k, dims, rule, plan, exclude_self, safe=True))
     if refine == "point":
         return _knn_refined(r, s, pairs, origins, train, k, dims, exclude_self, ties)
-    return join_kept(r, s, pairs, k, dims, exclude_self, local, ties)
+    return join_kept(r, s, pairs, k, dims, exclude_self, local, ties, origins, train)
+
+
+def _knn_minmax(r, s, origins, train, k, dims, exclude_self) -> DataFrame:
+    """Baseline: each origin row skips boxes farther off than some minimal box surely has a row."""
+    prune._minimal_only(k, False, exclude_self, "minmax")
+    box, p = Box.of("b_", dims), point("r_", dims)
+    pairs = prune.keep_two_box(origins, train, 1, dims)
+    met = _side(r, "r_", dims).join(pairs, same("r_part", "origin_id")).join(prune._named(train, "b_", dims), same("part_id", "b_id"))
+    sure = F.min(F.when(F.col("b_ok"), min_max_dist_sq(p, box))).over(Window.partitionBy("r_id"))
+    near = met.withColumn("clear", clearance_sq(p, box)).withColumn("sure", sure).where(F.col("sure").isNull() | ~F.col("b_ok") | (F.col("clear") <= F.col("sure") * (1 + 2.0**-40)))
+    near = near.select("r_id", "b_id", *[f"r_x_{i}" for i in range(dims)]).join(_side(s, "s_", dims), same("b_id", "s_part"))
+    return top_k(near.select(F.col("r_id").alias("origin_id"), F.col("s_id").alias("neighbour_id"), dist_sq(p, point("s_", dims)).alias("d2")), 1)
 
 
 def _knn_refined(r, s, pairs, origins, train, k, dims, exclude_self, ties) -> DataFrame:
     """A second stage by origin row: boxes farther than the reach within which k rows are certain are left out."""
     a = _side(r, "r_", dims)
-    met = a.join(pairs, F.col("r_part") == F.col("origin_id")).join(prune._named(train, "b_", dims), F.col("part_id") == F.col("b_id"))
+    met = a.join(pairs, same("r_part", "origin_id")).join(prune._named(train, "b_", dims), same("part_id", "b_id"))
     box, p = Box.of("b_", dims), point("r_", dims)
     met = met.withColumns({"clear": clearance_sq(p, box), "reach": reach_sq(p, box)})
     by_reach = Window.partitionBy("r_id").orderBy("reach", "b_id").rowsBetween(Window.unboundedPreceding, 0)
     sure = F.sum(F.when(F.col("b_ok"), F.col("b_n")).otherwise(0)).over(by_reach)
     cut = F.min(F.when(F.col("b_ok") & (F.col("sure") >= k + int(exclude_self)), F.col("reach"))).over(Window.partitionBy("r_id"))
     close = met.withColumn("sure", sure).withColumn("cut", cut).where(~F.col("b_ok") | F.col("cut").isNull() | (F.col("clear") <= F.col("cut") * (1 + 2.0**-40)))
-    near = close.join(_side(s, "s_", dims), F.col("b_id") == F.col("s_part"))
+    near = close.join(_side(s, "s_", dims), same("b_id", "s_part"))
     if exclude_self:
         near = near.where("r_id <> s_id")
     return top_k(near.select(F.col("r_id").alias("origin_id"), F.col("s_id").alias("neighbour_id"), dist_sq(p, point("s_", dims)).alias("d2")), k, ties)
@@ -192,7 +228,7 @@ def nearest_by_min(r: DataFrame, s: DataFrame, dims: int, exclude_self: bool = F
     """k = 1 as a hash aggregate, without sorting."""
     origins, train = stored(validated(from_rows(r, dims), dims)), stored(validated(from_rows(s, dims), dims))
     pairs = prune.keep_pairs(origins, train, 1, dims, self_join=exclude_self)
-    met = _side(r, "r_", dims).join(pairs, F.col("r_part") == F.col("origin_id")).join(_side(s, "s_", dims), F.col("part_id") == F.col("s_part"))
+    met = _side(r, "r_", dims).join(pairs, same("r_part", "origin_id")).join(_side(s, "s_", dims), same("part_id", "s_part"))
     if exclude_self:
         met = met.where("r_id <> s_id")
     best = met.groupBy("r_id").agg(F.min(F.struct(dist_sq(point("r_", dims), point("s_", dims)).alias("d2"), F.col("s_id").alias("id"))).alias("m"))
@@ -210,37 +246,57 @@ def knn_filtered(r: DataFrame, s: DataFrame, k: int, dims: int, where_s: Column,
     origins, bounds = stored(validated(from_rows(r, dims), dims)), stored(validated(from_rows(s, dims), dims))
     train = stored(with_counts(bounds, filtered_counts(s, where_s, dims)))
     pairs = stored(prune.keep_pairs(origins, train, k, dims))
-    return join_kept(r, s.where(where_s), pairs, k, dims)
+    return join_kept(r, s.where(where_s), pairs, k, dims, local="block", origins=origins, train=train)
 
 
-def ordered_loads(origins: DataFrame, train: DataFrame, counts: DataFrame, k: int, dims: int) -> DataFrame:
+def ordered_loads(origins: DataFrame, train: DataFrame, counts: DataFrame | Callable[[DataFrame], DataFrame], k: int, dims: int) -> DataFrame:
     """(origin_id, part_id, wave) of the partitions that ordered loading opens when row counts are unknown beforehand.
 
     A box is ready when all its dominators are loaded or skipped; ready boxes with fewer than k matching rows
-    in loaded dominators are loaded together, the others are skipped. counts (part_id, n_rows) are learnt only by loading.
+    in loaded dominators are loaded together, the others are skipped. counts (part_id, n_rows) are learnt only by loading:
+    either a frame of all of them, or a function that reads a wave's new partitions (part_id) and counts their rows.
     """
     from boxprune.plans.order import edges
 
     dag = stored(edges(origins, train, dims))
     nodes = stored(prune.keep_none(origins, train, dims))
-    found = counts.select(F.col("part_id").alias("near_id"), F.col("n_rows").alias("hits"))
-    open_, loaded, wave = nodes, None, 0
+    read = counts if callable(counts) else lambda parts: counts.join(parts.withColumnRenamed("part_id", "p"), same("part_id", "p"), "left_semi")
+    open_, loaded, found, wave = nodes, None, None, 0
+    both = lambda a, b: same(f"{a}.origin_id", f"{b}.origin_id") & same(f"{a}.part_id", f"{b}.part_id")
+    near = lambda b: same("d.origin_id", f"{b}.origin_id") & same("d.near_id", f"{b}.part_id")
     while open_.limit(1).count():
-        blocked = dag.join(open_.select("origin_id", F.col("part_id").alias("near_id")), ["origin_id", "near_id"], "left_semi").select("origin_id", F.col("far_id").alias("part_id")).distinct()
-        ready = stored(open_.join(blocked, ["origin_id", "part_id"], "left_anti"))
-        if loaded is None:
-            now = ready
-        else:
-            got = dag.join(loaded.select("origin_id", F.col("part_id").alias("near_id")), ["origin_id", "near_id"]).join(found, "near_id")
-            enough = got.groupBy("origin_id", F.col("far_id").alias("part_id")).agg(F.sum("hits").alias("h")).where(F.col("h") >= k)
-            now = ready.join(enough, ["origin_id", "part_id"], "left_anti")
-        now = now.select("origin_id", "part_id", F.lit(wave).alias("wave"))
-        loaded = stored(now if loaded is None else loaded.unionByName(now))
-        open_ = stored(open_.join(ready, ["origin_id", "part_id"], "left_anti"))
+        blocked = dag.alias("d").join(open_.alias("n"), near("n"), "left_semi").select("origin_id", F.col("far_id").alias("part_id")).distinct()
+        ready = stored(open_.alias("n").join(blocked.alias("b"), both("n", "b"), "left_anti"))
+        now = ready
+        if loaded is not None:
+            got = dag.alias("d").join(loaded.alias("l"), near("l"), "left_semi").join(found.alias("f"), same("near_id", "f.part_id"))
+            enough = got.groupBy("origin_id", F.col("far_id").alias("part_id")).agg(F.sum("n_rows").alias("h")).where(F.col("h") >= k)
+            now = ready.alias("n").join(enough.alias("e"), both("n", "e"), "left_anti")
+        now = stored(now.select("origin_id", "part_id", F.lit(wave).alias("wave")))
+        fresh = now.select("part_id").distinct()
+        if found is not None:
+            fresh = fresh.alias("n").join(found.alias("f"), same("n.part_id", "f.part_id"), "left_anti")
+        fresh = stored(fresh)
+        hits = read(fresh).select("part_id", "n_rows")
+        # a partition without any match is known to hold none
+        hits = fresh.alias("n").join(hits.alias("h"), same("n.part_id", "h.part_id"), "left").select("n.part_id", F.coalesce("n_rows", F.lit(0)).alias("n_rows"))
+        found = stored(hits if found is None else found.unionByName(hits))
+        loaded = now if loaded is None else stored(loaded.unionByName(now))
+        open_ = stored(open_.alias("n").join(ready.alias("r"), both("n", "r"), "left_anti"))
         wave += 1
     return loaded if loaded is not None else nodes.withColumn("wave", F.lit(0))
 
 
+def knn_ordered(r: DataFrame, s: DataFrame, k: int, dims: int, where_s: Column) -> DataFrame:
+    """Exact under a predicate with no count known beforehand: partitions are read in waves of the dominance order, their
+    matching rows are counted as they come in, and a partition whose loaded dominators hold k of them is never read.
+    Driver trips are as many as the longest chain; for small manifests."""
+    origins, train = stored(validated(from_rows(r, dims), dims)), stored(validated(from_rows(s, dims), dims))
+    read = lambda parts: filtered_counts(s.join(parts.withColumnRenamed("part_id", "p"), same("part_id", "p"), "left_semi"), where_s, dims)
+    loads = ordered_loads(origins, train, read, k, dims)
+    return join_kept(r, s.where(where_s), loads, k, dims, local="block", origins=origins, train=train)
+
+
 def within(r: DataFrame, s: DataFrame, eps: float, dims: int) -> DataFrame:
     """All pairs at most eps apart, by an equi-join on grid cells of side eps: each train row goes to its own and adjoining cells."""
     cells = lambda prefix: [F.floor(F.col(f"{prefix}x_{i}") / F.lit(eps)).cast("bigint") for i in range(dims)]
@@ -268,8 +324,8 @@ def knn_best_first(r: DataFrame, s: DataFrame, k: int, dims: int, cache: int = 6
     """
     origins, train = validated(from_rows(r, dims), dims), validated(from_rows(s, dims), dims)
     pairs = stored(prune.keep_two_box(origins, train, k, dims))
-    left = _side(r, "r_", dims).join(pairs, F.col("r_part") == F.col("origin_id"), "left_semi")
-    right = _side(s, "s_", dims).join(pairs, F.col("s_part") == F.col("part_id")).select("origin_id", "part_id", "s_id", *[f"s_x_{i}" for i in range(dims)])
+    left = _side(r, "r_", dims).join(pairs, same("r_part", "origin_id"), "left_semi")
+    right = _side(s, "s_", dims).join(pairs, same("s_part", "part_id")).select("origin_id", "part_id", "s_id", *[f"s_x_{i}" for i in range(dims)])
 
     def job(a, b):
         x = np.stack([a.column(f"r_x_{i}").to_numpy() for i in range(dims)], axis=1)
@@ -301,4 +357,4 @@ def knn_best_first(r: DataFrame, s: DataFrame, k: int, dims: int, cache: int = 6
     return top_k(met.applyInArrow(job, "origin_id long, neighbour_id long, d2 double"), k)
 
 
-__all__ = ["dominates", "join_kept", "keep_per_point", "knn", "knn_best_first", "knn_brute", "knn_filtered", "knn_points", "knn_sampled", "nearest_by_min", "ordered_loads", "reverse_knn", "top_k", "within"]
+__all__ = ["dominates", "join_kept", "keep_per_point", "knn", "knn_best_first", "knn_brute", "knn_filtered", "knn_ordered", "knn_points", "knn_sampled", "nearest_by_min", "ordered_loads", "reverse_knn", "top_k", "within"]

@@ -9,12 +9,12 @@ from pyspark.sql import functions as F
 
 from boxprune.functions.dominance import dominates, witness
 from boxprune.functions.geometry import Box, contains, dist_sq
-from boxprune.plans.prune import _named
+from boxprune.plans.prune import _named, same
 
 
 def pruning(pairs: DataFrame, origins: DataFrame, train: DataFrame, rule: str, k: int) -> DataFrame:
     """One row: kept and total pairs, train rows read over all origins, distance evaluations."""
-    met = pairs.select("origin_id", "part_id").join(origins.select(F.col("part_id").alias("origin_id"), F.col("n_rows").alias("n_o")), "origin_id").join(train.select("part_id", F.col("n_rows").alias("n_b")), "part_id")
+    met = pairs.select("origin_id", "part_id").join(origins.select(F.col("part_id").alias("o_id"), F.col("n_rows").alias("n_o")), same("origin_id", "o_id")).join(train.select(F.col("part_id").alias("b_id"), F.col("n_rows").alias("n_b")), same("part_id", "b_id"))
     kept = met.agg(F.count(F.lit(1)).alias("kept_pairs"), F.coalesce(F.sum("n_b"), F.lit(0)).alias("rows_read"), F.coalesce(F.sum(F.col("n_o") * F.col("n_b")), F.lit(0)).alias("distance_evals"))
     total = origins.agg(F.count(F.lit(1)).alias("a")).crossJoin(train.agg(F.count(F.lit(1)).alias("b"))).select((F.col("a") * F.col("b")).alias("total_pairs"))
     return kept.crossJoin(total).select(F.lit(rule).alias("rule"), F.lit(k).alias("k"), "kept_pairs", "total_pairs", "rows_read", "distance_evals")

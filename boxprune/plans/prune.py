@@ -14,9 +14,14 @@ from boxprune.functions.dominance import dominates
 from boxprune.functions.geometry import Box, gap_sq, intersects, nxn_dist_sq, span_sq
 
 
-def _named(manifest: DataFrame, prefix: str, dims: int) -> DataFrame:
+def _named(manifest: DataFrame, prefix: str, dims: int, *more: str) -> DataFrame:
     usable = F.col("usable") if "usable" in manifest.columns else F.lit(True)
-    return manifest.select(F.col("part_id").alias(f"{prefix}id"), F.col("n_rows").alias(f"{prefix}n"), usable.alias(f"{prefix}ok"), *[F.col(f"{e}_{i}").alias(f"{prefix}{e}_{i}") for i in range(dims) for e in ("lo", "hi")])
+    return manifest.select(F.col("part_id").alias(f"{prefix}id"), F.col("n_rows").alias(f"{prefix}n"), usable.alias(f"{prefix}ok"), *[F.col(f"{e}_{i}").alias(f"{prefix}{e}_{i}") for i in range(dims) for e in ("lo", "hi")], *[F.col(c).alias(f"{prefix}{c}") for c in more])
+
+
+def same(a: str, b: str) -> Column:
+    """Equal partition ids; rows without one are a partition too."""
+    return F.col(a).eqNullSafe(F.col(b))
 
 
 def _own(self_join: bool, dims: int, near: str = "e_") -> Column:
@@ -39,12 +44,15 @@ def keep_none(origins: DataFrame, train: DataFrame, dims: int) -> DataFrame:
 
 
 def keep_single(origins: DataFrame, train: DataFrame, k: int, dims: int) -> DataFrame:
-    """Skip where one near box with k rows or more dominates."""
+    """Skip where one near box with k rows or more dominates. Pairs that the two-box test of single boxes drops are left out
+    first, by an aggregate; the others meet in an equi-join on the origin."""
     _check(k)
     o, e, b = (Box.of(p, dims) for p in ("o_", "e_", "b_"))
-    near = _named(train, "e_", dims).where((F.col("e_n") >= k) & F.col("e_ok"))
-    pairs = all_pairs(origins, train, dims)
-    return pairs.join(F.broadcast(near), F.col("b_ok") & F.col("o_ok") & dominates(o, e, b), "left_anti").select(F.col("o_id").alias("origin_id"), F.col("b_id").alias("part_id"))
+    pairs = all_pairs(origins, train, dims).withColumns({"gap": gap_sq(o, b), "proof": F.col("o_ok") & F.col("b_ok")})
+    cut = F.min(F.when(F.col("proof") & (F.col("b_n") >= k), span_sq(o, b))).over(Window.partitionBy("o_id"))
+    pairs = pairs.withColumn("cut", cut).where(F.col("cut").isNull() | ~F.col("proof") | (F.col("gap") <= F.col("cut"))).drop("gap", "cut", "proof")
+    near = pairs.where((F.col("b_n") >= k) & F.col("b_ok") & F.col("o_ok")).select(F.col("o_id").alias("e_o"), *[F.col(c).alias("e_" + c[2:]) for c in pairs.columns if c.startswith("b_")])
+    return pairs.join(near, same("o_id", "e_o") & F.col("b_ok") & dominates(o, e, b), "left_anti").select(F.col("o_id").alias("origin_id"), F.col("b_id").alias("part_id"))
 
 
 def keep_declared(origins: DataFrame, train: DataFrame, k: int, dims: int, self_join: bool = False, safe: bool = False) -> DataFrame:
@@ -59,12 +67,12 @@ def keep_declared(origins: DataFrame, train: DataFrame, k: int, dims: int, self_
     return out.where(F.col("dominator_rows") < k).select(F.col("o_id").alias("origin_id"), F.col("b_id").alias("part_id"), "dominator_rows")
 
 
-def prefiltered(origins: DataFrame, train: DataFrame, k: int, dims: int, self_join: bool = False) -> DataFrame:
+def prefiltered(origins: DataFrame, train: DataFrame, k: int, dims: int, self_join: bool = False, pairs: DataFrame | None = None) -> DataFrame:
     """Pairs that the two-box bound leaves: boxes are taken by their span from the origin until k rows are certain,
-    and what is farther off than that span goes. One shuffle, by origin."""
+    and what is farther off than that span goes. One shuffle, by origin. ``pairs``: those to start from, all by default."""
     _check(k)
     o, b = Box.of("o_", dims), Box.of("b_", dims)
-    both = all_pairs(origins, train, dims).withColumns({"gap": gap_sq(o, b), "span": span_sq(o, b), "proof": F.col("o_ok") & F.col("b_ok")})
+    both = (all_pairs(origins, train, dims) if pairs is None else pairs).withColumns({"gap": gap_sq(o, b), "span": span_sq(o, b), "proof": F.col("o_ok") & F.col("b_ok")})
     by_span = Window.partitionBy("o_id").orderBy(F.when(F.col("proof"), F.col("span")).otherwise(F.lit(float("inf"))), "b_id").rowsBetween(Window.unboundedPreceding, 0)
     sure = F.sum(F.when(F.col("proof"), F.col("b_n")).otherwise(0)).over(by_span) - (F.max(_own(self_join, dims, "b_")).over(by_span) if self_join else F.lit(0))
     both = both.withColumn("sure", sure)
@@ -76,15 +84,15 @@ def keep_two_box(origins: DataFrame, train: DataFrame, k: int, dims: int, self_j
     return prefiltered(origins, train, k, dims, self_join).select(F.col("o_id").alias("origin_id"), F.col("b_id").alias("part_id"))
 
 
-def keep_two_step(origins: DataFrame, train: DataFrame, k: int, dims: int, self_join: bool = False, safe: bool = False) -> DataFrame:
+def keep_two_step(origins: DataFrame, train: DataFrame, k: int, dims: int, self_join: bool = False, safe: bool = False, pairs: DataFrame | None = None) -> DataFrame:
     """The counted rule on the survivors of the prefilter: an equi-join on the origin, whose partitioning the final sums reuse.
 
     No pair is lost or gained: whatever skipped a dominator also dominates what it dominates, by rows enough.
     """
-    left = prefiltered(origins, train, k, dims, self_join).drop("gap", "span", "sure", "cut", "proof")
+    left = prefiltered(origins, train, k, dims, self_join, pairs).drop("gap", "span", "sure", "cut", "proof")
     o, e, b = (Box.of(p, dims) for p in ("o_", "e_", "b_"))
     near = left.where("b_ok AND o_ok").select(F.col("o_id").alias("e_o"), *[F.col(c).alias("e_" + c[2:]) for c in left.columns if c.startswith("b_")])
-    hit = left.join(near, (F.col("o_id") == F.col("e_o")) & F.col("b_ok") & dominates(o, e, b, safe), "left")
+    hit = left.join(near, same("o_id", "e_o") & F.col("b_ok") & dominates(o, e, b, safe), "left")
     mass = hit.groupBy("o_id", "b_id").agg(F.coalesce(F.sum("e_n"), F.lit(0)).alias("rows"), F.coalesce(F.max(F.when(F.col("e_n").isNotNull(), _own(self_join, dims))), F.lit(0)).alias("own"))
     out = mass.withColumn("dominator_rows", (F.col("rows") - F.col("own")).cast("bigint"))
     return out.where(F.col("dominator_rows") < k).select(F.col("o_id").alias("origin_id"), F.col("b_id").alias("part_id"), "dominator_rows")
@@ -103,22 +111,38 @@ def keep_nxn(origins: DataFrame, train: DataFrame, dims: int, k: int = 1, loose:
     return both.where(gap_sq(o, b) <= F.col("bound")).select(F.col("o_id").alias("origin_id"), F.col("b_id").alias("part_id"))
 
 
-def keep_hierarchical(origins: DataFrame, train: DataFrame, k: int, dims: int, origin_parent: Column, train_parent: Column, safe: bool = False) -> DataFrame:
-    """Skip between boxes of boxes first; only children of kept parents are compared. Sound, as a parent's skip holds for
-    all of its children; it may keep more than the flat rule."""
+def parent_of(manifest: DataFrame, dims: int, children: int = 256) -> DataFrame:
+    """The manifest with ``parent``: cells of a grid over the boxes' centres, about ``children`` boxes each."""
+    mids = [(F.col(f"lo_{i}") + F.col(f"hi_{i}")) / 2 for i in range(dims)]
+    usable = F.col("usable") if "usable" in manifest.columns else F.lit(True)
+    ends = manifest.where(usable).agg(F.count(F.lit(1)).alias("_n"), *[f(m).alias(f"_{e}{i}") for i, m in enumerate(mids) for f, e in ((F.min, "a"), (F.max, "z"))])
+    cells = F.greatest(F.lit(1.0), F.ceil(F.pow(F.col("_n") / children, F.lit(1.0 / dims))))
+    number = F.lit(0).cast("bigint")
+    for i, m in enumerate(mids):
+        wide = F.col(f"_z{i}") - F.col(f"_a{i}")
+        number = number * cells.cast("bigint") + F.least(F.when(wide > 0, F.floor((m - F.col(f"_a{i}")) / wide * cells)).otherwise(0), cells - 1).cast("bigint")
+    return manifest.crossJoin(F.broadcast(ends)).withColumn("parent", F.when(usable, number).otherwise(-1)).select(*manifest.columns, "parent")  # one row of ends
+
+
+def keep_hierarchical(origins: DataFrame, train: DataFrame, k: int, dims: int, origin_parent: Column | str = "parent", train_parent: Column | str = "parent", self_join: bool = False, safe: bool = False) -> DataFrame:
+    """The counted rule, between boxes of boxes first; only children of kept parents meet.
+
+    A parent's skip holds for all of its children, and as the rows that skipped a box dominate all that the box
+    dominates, no count is lost with it: the pairs are those of the flat rule. Parents of unusable boxes are never skipped.
+    """
+    col = lambda c: F.col(c) if isinstance(c, str) else c
 
     def parents(m: DataFrame, of: Column) -> DataFrame:
         ends = [f(f"{e}_{i}").alias(f"{e}_{i}") for i in range(dims) for f, e in ((F.min, "lo"), (F.max, "hi"))]
-        return m.groupBy(of.alias("part_id")).agg(F.sum("n_rows").alias("n_rows"), *ends)
+        usable = F.bool_and("usable") if "usable" in m.columns else F.lit(True)
+        return m.groupBy(of.alias("part_id")).agg(F.sum("n_rows").alias("n_rows"), usable.alias("usable"), *ends)
 
-    top = keep_two_step(parents(origins, origin_parent), parents(train, train_parent), k, dims, safe=safe)
-    kids_o = _named(origins, "o_", dims).join(origins.select(F.col("part_id").alias("o_id"), origin_parent.alias("o_top")), "o_id")
-    kids_b = _named(train, "b_", dims).join(train.select(F.col("part_id").alias("b_id"), train_parent.alias("b_top")), "b_id")
-    met = top.select(F.col("origin_id").alias("o_top"), F.col("part_id").alias("b_top")).join(kids_o, "o_top").join(kids_b, "b_top").drop("o_top", "b_top")
-    o, e, b = (Box.of(p, dims) for p in ("o_", "e_", "b_"))
-    near = met.select(F.col("o_id").alias("e_o"), *[F.col(c).alias("e_" + c[2:]) for c in met.columns if c.startswith("b_")])
-    hit = met.join(near, (F.col("o_id") == F.col("e_o")) & dominates(o, e, b, safe), "left")
-    return hit.groupBy(F.col("o_id").alias("origin_id"), F.col("b_id").alias("part_id")).agg(F.coalesce(F.sum("e_n"), F.lit(0)).alias("dominator_rows")).where(F.col("dominator_rows") < k)
+    op, tp = col(origin_parent), col(train_parent)
+    top = keep_two_step(parents(origins, op), parents(train, tp), k, dims, self_join, safe)
+    kids_o = _named(origins.withColumn("_top", op), "o_", dims, "_top")
+    kids_b = _named(train.withColumn("_top", tp), "b_", dims, "_top")
+    met = top.select(F.col("origin_id").alias("t_o"), F.col("part_id").alias("t_b")).join(kids_o, same("t_o", "o__top")).join(kids_b, same("t_b", "b__top")).drop("t_o", "t_b", "o__top", "b__top")
+    return keep_two_step(origins, train, k, dims, self_join, safe, met)
 
 
 def split_origins(origins: DataFrame, pieces: int, dims: int) -> DataFrame:
@@ -136,11 +160,20 @@ def keep_split(origins: DataFrame, train: DataFrame, k: int, dims: int, pieces:
     return kept.select(F.col("origin_id.part_id").alias("origin_id"), "part_id").distinct()
 
 
-def keep_pairs(origins: DataFrame, train: DataFrame, k: int, dims: int, rule: str = "counted", plan: str = "two_step", self_join: bool = False, safe: bool = True) -> DataFrame:
-    """Kept pairs under a rule: counted, single, two_box, nxn or none."""
+#: Products of manifests above this are compared through parents.
+FLAT_PAIRS = 20_000_000
+
+
+def keep_pairs(origins: DataFrame, train: DataFrame, k: int, dims: int, rule: str = "counted", plan: str = "auto", self_join: bool = False, safe: bool = True) -> DataFrame:
+    """Kept pairs under a rule: counted, single, two_box, nxn or none. Plans of the counted rule: two_step, hierarchical,
+    declared, or auto (hierarchical above FLAT_PAIRS); all give the same pairs."""
     _check(k)
     if rule == "counted":
-        return (keep_two_step if plan == "two_step" else keep_declared)(origins, train, k, dims, self_join, safe).select("origin_id", "part_id")
+        if plan == "auto":
+            plan = "hierarchical" if origins.count() * train.count() > FLAT_PAIRS else "two_step"
+        if plan == "hierarchical":
+            return keep_hierarchical(parent_of(origins, dims), parent_of(train, dims), k, dims, self_join=self_join, safe=safe).select("origin_id", "part_id")
+        return {"two_step": keep_two_step, "declared": keep_declared}[plan](origins, train, k, dims, self_join, safe).select("origin_id", "part_id")
     if rule == "single":
         return keep_single(origins, train, k + self_join, dims)
     if rule == "two_box":

@@ -46,15 +46,16 @@ def filtered_counts(points: DataFrame, predicate: Column, dims: int, part: str =
 
 def with_counts(manifest: DataFrame, counts: DataFrame) -> DataFrame:
     """The manifest with exact counts in place of its upper bounds; partitions left empty go."""
-    exact = counts.select("part_id", F.col("n_rows").alias("exact"))
-    return manifest.join(exact, "part_id").withColumn("n_rows", F.col("exact")).drop("exact").where("n_rows > 0").select(*manifest.columns)
+    exact = counts.select(F.col("part_id").alias("counted_id"), F.col("n_rows").alias("exact"))
+    return manifest.join(exact, F.col("part_id").eqNullSafe(F.col("counted_id"))).withColumn("n_rows", F.col("exact")).where("n_rows > 0").select(*manifest.columns)
 
 
 def from_footers(spark: SparkSession, files: DataFrame, coords: Iterable[str]) -> DataFrame:
     """file_path, row_group, n_rows, n_nulls and bounds from parquet statistics, without reading rows.
 
     files: one column ``file_path``, of paths that the executors can open. A row group without statistics gets null
-    bounds, so it is unusable and is always kept. n_rows counts rows with the column of most nulls present.
+    bounds, so it is unusable and is always kept. n_rows is the number of rows without null; where several columns hold
+    nulls it is the least that it can be, which proves no skip too many, and count_is_exact is false.
     """
     coords = list(coords)
     ends = ", ".join(f"lo_{i} double, hi_{i} double" for i in range(len(coords)))
@@ -80,9 +81,19 @@ def from_footers(spark: SparkSession, files: DataFrame, coords: Iterable[str]) -
                         nulls = [s.null_count if s is not None and s.has_null_count else 0 for s in stats]
                         exact = sum(n > 0 for n in nulls) <= 1
                         ranges = [float(v) if ok else None for s, ok in zip(stats, good, strict=True) for v in ((s.min, s.max) if ok else (None, None))]
-                        rows.append((path, g, group.num_rows - max(nulls, default=0) if exact else group.num_rows, exact, *ranges))
+                        rows.append((path, g, max(0, group.num_rows - sum(nulls)), exact, *ranges))
             names = ["file_path", "row_group", "n_rows", "count_is_exact", *[f"{e}_{i}" for i in range(len(coords)) for e in ("lo", "hi")]]
             types = [pa.string(), pa.int32(), pa.int64(), pa.bool_(), *[pa.float64()] * (2 * len(coords))]
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(types)], names=names)
 
     return files.select("file_path").mapInArrow(job, f"file_path string, row_group int, n_rows long, count_is_exact boolean, {ends}")
+
+
+def from_files(spark: SparkSession, paths: list[str], coords: Iterable[str], tasks: int = 200) -> DataFrame:
+    """A manifest with one row a file (part_id is its path), from footers alone. ``paths`` is the listing that the reader
+    itself holds on the driver. Writers that leave NaN out of statistics would have such rows counted: use from_rows for them."""
+    coords = list(coords)
+    files = spark.createDataFrame([(p,) for p in paths], "file_path string").repartition(max(1, min(tasks, len(paths))))
+    groups = from_footers(spark, files, coords)
+    ends = [F.when(F.count(c) == F.count(F.lit(1)), f(c)).alias(c) for i in range(len(coords)) for f, c in ((F.min, f"lo_{i}"), (F.max, f"hi_{i}"))]
+    return groups.groupBy(F.col("file_path").alias("part_id")).agg(F.sum("n_rows").alias("n_rows"), *ends)

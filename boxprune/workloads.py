@@ -6,6 +6,7 @@ against an independent statement. Queries without SQL here are held against brut
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -17,13 +18,14 @@ from pyspark.sql import Window
 from boxprune.functions import dominance as D
 from boxprune.functions import geometry as G
 from boxprune.functions.geometry import Box
+from boxprune.operators import files as FS
 from boxprune.operators import join as J
 from boxprune.operators import measures as M
 from boxprune.plans import order as O
 from boxprune.plans import prune as P
 from boxprune.sources import layout as L
 from boxprune.sources import manifest as S
-from boxprune.sources.scratch import stored
+from boxprune.sources.scratch import shared_dir, stored
 from boxprune.streaming import bounds as B
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -95,6 +97,9 @@ _order_day, _ship_day = _days("o_orderdate"), _days("l_shipdate")
 ORDERS = Points("orders", "o_orderkey", (_order_day[0], "o_totalprice/200"), 250, None, (_order_day[1], "o_totalprice/200"))
 ORDERS_FINE = _grid_of(ORDERS, 125)
 ORDERS_HASHED = Points("orders", "o_orderkey", ORDERS.axes, None, "o_orderkey % 64", ORDERS.duck_axes)
+#: A fifth of the rows have no partition.
+ORDERS_NO_PART = Points("orders", "o_orderkey", ORDERS.axes, None, "nullif(CAST(floor(o_totalprice/50000) AS BIGINT), 3)", ORDERS.duck_axes)
+CHEAP_URGENT = Points("orders", "o_orderkey", ORDERS.axes, 60, None, ORDERS.duck_axes, None, "o_orderpriority = '1-URGENT' AND o_totalprice < 60000")
 URGENT = Points("orders", "o_orderkey", ORDERS.axes, 60, None, ORDERS.duck_axes, None, "o_orderpriority = '1-URGENT'")
 #: Order and line number repeat, so rows that share them are numbered; lines that are equal in every column are the same point.
 _LINE_KEY = "coalesce(l_orderkey*8 + l_linenumber, -1)"
@@ -508,12 +513,34 @@ def predicate_static_loss(spark, sf):
     return out.agg(F.count(F.lit(1)).alias("neighbours"), F.count_if(F.col("kept").isNull()).alias("lost"))
 
 
-@query()
+#: A box is loaded iff its dominators hold fewer than k matching rows: counts of skipped ones change nothing, as what skipped
+#: them dominates what they dominate. Waves are the longest chains.
+_LOADS = f"""WITH RECURSIVE {_BI[5:]}, d AS MATERIALIZED ({_EDGES}), c AS MATERIALIZED (SELECT part_id, count(*) FILTER (WHERE x_0 > 10) AS n FROM s GROUP BY part_id),
+p AS (SELECT o.part_id AS origin_id, t.part_id AS part_id, 0 AS wave FROM o, t UNION SELECT d.origin_id, d.far_id, p.wave + 1 FROM p JOIN d ON d.origin_id = p.origin_id AND d.near_id = p.part_id),
+m AS (SELECT d.origin_id, d.far_id, sum(c.n) AS n FROM d JOIN c ON c.part_id = d.near_id GROUP BY ALL),
+l AS (SELECT p.origin_id, p.part_id, CAST(max(p.wave) AS INTEGER) AS wave FROM p LEFT JOIN m ON m.origin_id = p.origin_id AND m.far_id = p.part_id WHERE coalesce(m.n, 0) < 3 GROUP BY ALL)"""
+
+
+@query(f"{_LOADS} SELECT * FROM l")
 def loads_filtered(spark, sf):
-    """Partitions that ordered loading opens under the predicate, by origin."""
+    """Partitions that ordered loading opens under the predicate, by origin; rows are counted wave by wave, as they are read."""
     o, t = (stored(m) for m in _sides(spark, sf))
-    counts = stored(S.filtered_counts(SUPPLIERS_10.frame(spark, sf), F.col("x_0") > 10, 2))
-    return J.ordered_loads(o, t, counts, 3, 2)
+    s = SUPPLIERS_10.frame(spark, sf)
+    read = lambda parts: S.filtered_counts(s.join(parts, "part_id", "left_semi"), F.col("x_0") > 10, 2)
+    return J.ordered_loads(o, t, read, 3, 2)
+
+
+@query(sql_brute(CUSTOMERS, SUPPLIERS_10, 3, head=f"{_BI}, sf AS (SELECT * FROM s WHERE x_0 > 10)", sn="sf"))
+def knn_ordered(spark, sf):
+    return J.knn_ordered(CUSTOMERS.frame(spark, sf), SUPPLIERS_10.frame(spark, sf), 3, 2, F.col("x_0") > 10)
+
+
+@query(f"{_LOADS}, n AS (SELECT DISTINCT g.o AS origin_id, m.p AS part_id FROM (SELECT r.part_id AS o, unnest(min({{'d2': {sql_d2(2)}, 'id': s.id, 'p': s.part_id}}, 3)) AS m FROM r, s WHERE s.x_0 > 10 GROUP BY r.id, r.part_id) g) SELECT l.origin_id, count(*) AS loads, count(n.part_id) AS needed FROM l LEFT JOIN n USING (origin_id, part_id) GROUP BY l.origin_id")
+def loads_vs_needed(spark, sf):
+    """What ordered loading opens against the partitions that hold a neighbour."""
+    r, s = CUSTOMERS.frame(spark, sf), SUPPLIERS_10.frame(spark, sf)
+    need = M.needed_pairs(J.knn_filtered(r, s, 3, 2, F.col("x_0") > 10), r, s).withColumn("need", F.lit(1))
+    return loads_filtered(spark, sf).join(need, ["origin_id", "part_id"], "left").groupBy("origin_id").agg(F.count(F.lit(1)).alias("loads"), F.count("need").alias("needed"))
 
 
 _HALVES = "SELECT part_id, n_rows, lo_0 + (hi_0 - lo_0) * h / 2 AS lo_0, lo_0 + (hi_0 - lo_0) * (h + 1) / 2 AS hi_0, lo_1, hi_1, h FROM o, range(2) g(h)"
@@ -525,7 +552,7 @@ def prune_split_origin(spark, sf):
     return P.keep_split(o, t, 3, 2)
 
 
-@query()
+@query(f"{ctes(ORDERS_FINE)} {sql_kept(ORDERS_FINE, None, 10)}")
 def prune_hierarchical(spark, sf):
     o, t = (stored(m) for m in _sides(spark, sf, ORDERS_FINE, ORDERS_FINE))
     parent = F.floor(F.col("part_id") / 4000) * 1000 + F.floor(F.pmod("part_id", F.lit(1000)) / 4)
@@ -558,7 +585,9 @@ query(sql_brute(ORDERS_HASHED, None, 10, True), "knn_hashed_layout")(_knn(ORDERS
 query(sql_brute(vectors(8), None, 10, True), "knn_vectors_8d")(_knn(vectors(8), vectors(8), 10, exclude_self=True, local="block"))
 query(None, "knn_pruned_3d")(_knn(LINES_3D, LINES_3D, 10, local="block"))
 query(None, "knn_pruned_4d")(_knn(LINES_4D, LINES_4D, 10, local="block"))
-for _rule in ("single", "two_box", "nxn", "none"):
+query(sql_brute(ORDERS_NO_PART, None, 5, True), "knn_null_parts")(_knn(ORDERS_NO_PART, ORDERS_NO_PART, 5, exclude_self=True))
+query(sql_brute(ORDERS_FINE, None, 5, True), "knn_hierarchical")(_knn(ORDERS_FINE, ORDERS_FINE, 5, exclude_self=True, plan="hierarchical"))
+for _rule in ("single", "two_box", "nxn", "minmax", "none"):
     query(sql_brute(CUSTOMERS, SUPPLIERS, 1), f"knn_rule_{_rule}")(_knn(CUSTOMERS, SUPPLIERS, 1, rule=_rule))
 
 
@@ -616,6 +645,32 @@ def knn_sampled(spark, sf):
     return J.knn_sampled(CUSTOMERS.frame(spark, sf), SUPPLIERS.frame(spark, sf), 3, 2, 2)
 
 
+def order_files(spark, sf) -> str:
+    """Path of the orders, one file a cell of the fine grid, in the shared folder."""
+    path = f"{shared_dir(spark)}/layout-{uuid.uuid4().hex}"
+    L.write_layout(ORDERS_FINE.frame(spark, sf), path, 8, ["id"])
+    return path
+
+
+@query(sql_brute(CHEAP_URGENT, ORDERS_FINE, 5))
+def knn_files(spark, sf):
+    """Bounds from footers, kept pairs, and a reader that is given kept files only."""
+    return FS.knn_files(spark, CHEAP_URGENT.frame(spark, sf), order_files(spark, sf), 5, 2)
+
+
+@query(f"{ctes(CHEAP_URGENT, ORDERS_FINE)}, k AS ({sql_kept(CHEAP_URGENT, ORDERS_FINE, 5)}) SELECT 'counted' AS rule, (SELECT count(*) FROM t) AS files, count(DISTINCT part_id) AS files_read FROM k")
+def files_skipped(spark, sf):
+    return FS.files_skipped(spark, CHEAP_URGENT.frame(spark, sf), order_files(spark, sf), 5, 2).select("rule", "files", "files_read")
+
+
+@query(sql_brute(CHEAP_URGENT, ORDERS_FINE, 5))
+def knn_range_pushdown(spark, sf):
+    """The baseline that skips by a pushed range filter around all origins, then compares all rows that it reads."""
+    r = CHEAP_URGENT.frame(spark, sf)
+    near = stored(FS.range_scan(spark, r, order_files(spark, sf), 5, 2))
+    return J.knn(r, near, 5, 2, rule="none")
+
+
 # ---------------------------------------------------------------- E. baselines
 
 _NONE = f"{ctes(CUSTOMERS, SUPPLIERS)} {_PAIR} FROM o, t b"
