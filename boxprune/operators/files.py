@@ -5,24 +5,29 @@ Points in files have columns id, x_0 …; a file is a partition and its path the
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from boxprune.functions.geometry import contains, Box, point
+from boxprune.functions.geometry import Box, contains, point
 from boxprune.operators.join import join_kept
 from boxprune.plans import prune
 from boxprune.sources.manifest import from_files, from_rows, validated
 from boxprune.sources.scratch import stored
 
 
+def _path(col: str) -> Column:
+    """Local paths are written with one, two or three slashes by different parts of Spark."""
+    return F.regexp_replace(col, "^file:/+", "file:///")
+
+
 def _points(files: DataFrame, dims: int) -> DataFrame:
-    return files.select("id", F.col("_metadata.file_path").alias("part_id"), *[f"x_{i}" for i in range(dims)])
+    return files.select("id", _path("_metadata.file_path").alias("part_id"), *[f"x_{i}" for i in range(dims)])
 
 
 def kept_files(spark: SparkSession, r: DataFrame, path: str, k: int, dims: int, rule: str = "counted", exclude_self: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Manifest of r, manifest of the files under path from their footers, and the kept pairs."""
     origins = stored(validated(from_rows(r, dims), dims))
-    train = stored(validated(from_files(spark, spark.read.parquet(path).inputFiles(), [f"x_{i}" for i in range(dims)]), dims))
+    train = stored(validated(from_files(spark, spark.read.parquet(path).inputFiles(), [f"x_{i}" for i in range(dims)]), dims).withColumn("part_id", _path("part_id")))
     return origins, train, stored(prune.keep_pairs(origins, train, k, dims, rule, "auto", exclude_self))
 
 
@@ -41,9 +46,9 @@ def knn_files(spark: SparkSession, r: DataFrame, path: str, k: int, dims: int, r
 def files_skipped(spark: SparkSession, r: DataFrame, path: str, k: int, dims: int, rule: str = "counted") -> DataFrame:
     """One row: files and bytes under path, and how many of them the join reads."""
     _, _, pairs = kept_files(spark, r, path, k, dims, rule)
-    kept = pairs.select(F.regexp_replace("part_id", "^file:/+", "/").alias("path")).distinct().withColumn("kept", F.lit(True))
+    kept = pairs.select(F.col("part_id").alias("path")).distinct().withColumn("kept", F.lit(True))
     sizes = spark.read.format("binaryFile").option("recursiveFileLookup", "true").option("pathGlobFilter", "*.parquet").load(path)
-    sizes = sizes.select(F.regexp_replace("path", "^file:/+", "/").alias("path"), "length")
+    sizes = sizes.select(_path("path").alias("path"), "length")
     one = sizes.join(kept, "path", "left").agg(F.count(F.lit(1)).alias("files"), F.count("kept").alias("files_read"), F.sum("length").alias("bytes"), F.coalesce(F.sum(F.when(F.col("kept"), F.col("length"))), F.lit(0)).alias("bytes_read"))
     return one.select(F.lit(rule).alias("rule"), "*")
 
