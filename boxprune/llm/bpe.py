@@ -27,8 +27,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 NONE = np.iinfo(np.int64).max
-#: Bits for a position in a leaf's key; pieces are shorter than 2^26 bytes.
+#: Bits for a position in a leaf's key of pieces that are merged together (WIDE bytes at most).
 POS_BITS = 26
+#: The same for a piece that is merged alone, in integers of any size.
+LONG_BITS = 48
+LONG_NONE = 1 << 80
 #: Pieces longer than this are merged alone.
 WIDE = 64
 #: Chunks memoised by a worker before the memo starts anew.
@@ -149,12 +152,12 @@ class SegmentTreeBPE:
         w = 1 << (n - 1).bit_length()
         ids = [int(x) for x in self.of_byte[np.frombuffer(piece, np.uint8)]]
         nxt, prv = list(range(1, n + 1)), list(range(-1, n - 1))
-        get, none = self.pairs.get, NONE
+        get, none = self.pairs.get, LONG_NONE
         tree = [none] * (2 * w)
         for i in range(n - 1):
             r = get(ids[i] << 20 | ids[i + 1])
             if r is not None:
-                tree[w + i] = r << POS_BITS | i
+                tree[w + i] = r << LONG_BITS | i
         for v in range(w - 1, 0, -1):
             a, b = tree[2 * v], tree[2 * v + 1]
             tree[v] = a if a < b else b
@@ -172,20 +175,20 @@ class SegmentTreeBPE:
 
         while tree[1] != none:
             best = tree[1]
-            i = best & ((1 << POS_BITS) - 1)
+            i = best & ((1 << LONG_BITS) - 1)
             j = nxt[i]
             after = nxt[j]
-            ids[i], ids[j] = best >> POS_BITS, -1
+            ids[i], ids[j] = best >> LONG_BITS, -1
             nxt[i] = after
             put(j, none)
             r = None
             if after < n:
                 prv[after] = i
                 r = get(ids[i] << 20 | ids[after])
-            put(i, none if r is None else r << POS_BITS | i)
+            put(i, none if r is None else r << LONG_BITS | i)
             if prv[i] >= 0:
                 r = get(ids[prv[i]] << 20 | ids[i])
-                put(prv[i], none if r is None else r << POS_BITS | prv[i])
+                put(prv[i], none if r is None else r << LONG_BITS | prv[i])
         return [x for x in ids if x >= 0]
 
 

@@ -34,11 +34,11 @@ _TAKE = re.compile(rf"\\(\\*)({_ANY})")
 
 
 def escape(text: str) -> str:
-    return _ADD.sub(r"\\\1\2", text)
+    return _ADD.sub(r"\\\1\2", text) if "<" in text or "[" in text else text  # every control string holds one of them
 
 
 def unescape(text: str) -> str:
-    return _TAKE.sub(r"\1\2", text)
+    return _TAKE.sub(r"\1\2", text) if "\\" in text else text
 
 
 def printed(role: str, text: str) -> str:
@@ -71,7 +71,9 @@ class Assembler:
             raise ValueError("not one formatted turn")
         at = int(bodies[0])
         text = lambda part: unescape(self.codec.bpe.decode(part.tolist()).decode())
-        return text(ids[1:at]), text(ids[at + 1 : -1]), text(ids[mask > 0])
+        under, own = ids[mask > 0], text(ids[at + 1 : -1])
+        # what the mask covers is decoded once if it is the body itself
+        return text(ids[1:at]), own, own if np.array_equal(under, ids[at + 1 : -1]) else text(under)
 
 
 def format_turns(turns: DataFrame, path: str, pattern: str, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:

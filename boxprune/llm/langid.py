@@ -6,23 +6,26 @@ change language. The field is fitted by adaptive gradient steps on sequences spl
 different languages. A text's prediction is the label with the greatest mean of word marginals, found by
 forward-backward over all of its words; that mean is the score.
 
-The fit takes the ``TRAIN_DOCS`` labelled texts with the least hash of their id; predictions cover every whole
-text. Null text, and text without letters, is ``und`` with score 0, as is everything if there is no labelled text.
+The fit takes at most ``TRAIN_DOCS`` labelled texts, dealt evenly to the languages, those with the least hash of their id, and
+from each at most ``TEXT_RUNS`` runs of words at places drawn over its whole length; predictions cover every whole text. Null text, and text without letters, is ``und`` with score 0, as is everything if there is no labelled text.
 Repeated rows are predicted one by one. An empty table gives an empty result. Further columns are not touched.
 """
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 #: Bound of the labelled sample, in documents.
 TRAIN_DOCS = 1500
-#: Words of one training text that may be used, spliced sequences, their length, runs in each.
-TRAIN_WORDS, SEQUENCES, LENGTH, RUNS = 400, 3000, 48, (4, 24)
+#: Runs of words taken from one training text and their length; spliced sequences, their length, sizes of the runs in each.
+TEXT_RUNS, RUN_WORDS = 24, 24
+SEQUENCES, LENGTH, RUNS = 3000, 48, (4, 24)
 BUCKETS = 1 << 18
 EPOCHS, BATCH, RATE, RIDGE = 4, 64, 0.3, 1e-6
 #: Words memoised by a worker before the memo starts anew; words of texts run in step.
@@ -36,6 +39,19 @@ def split_words(text: str) -> list[bytes]:
     return text.lower().encode("utf-8", "replace").split()
 
 
+def lettered(text: str) -> list[bytes]:
+    return [w for w in split_words(text) if _LETTER.search(w.decode("utf-8", "replace"))]
+
+
+def text_runs(text: str, runs: int = TEXT_RUNS, size: int = RUN_WORDS) -> list[str]:
+    """Runs of lettered words at places that a hash of the text draws over all of it; a short text is one run."""
+    words = lettered(text)
+    if len(words) <= runs * size:
+        return [b" ".join(words).decode("utf-8", "replace")] if words else []
+    at = np.random.Generator(np.random.PCG64(zlib.crc32(text.encode("utf-8", "replace")))).integers(0, len(words) - size + 1, runs)
+    return [b" ".join(words[i : i + size]).decode("utf-8", "replace") for i in at.tolist()]
+
+
 def word_features(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     """Hashed features of all words in a row, and where each word's begin."""
     n = len(words)
@@ -119,7 +135,7 @@ class Field:
 
     def fit(self, texts: list[str], langs: list[str], seed: int = 11) -> None:
         rng = np.random.Generator(np.random.PCG64(seed))
-        by = {x: [w for t, own in zip(texts, langs, strict=True) if own == x and len(w := [v for v in split_words(t)[:TRAIN_WORDS] if _LETTER.search(v.decode("utf-8", "replace"))]) > 1] for x in self.labels}
+        by = {x: [w for t, own in zip(texts, langs, strict=True) if own == x and len(w := lettered(t)) > 1] for x in self.labels}
         usable = [i for i, x in enumerate(self.labels) if by[x]]
         if not usable:
             return
@@ -229,7 +245,7 @@ class Predictor:
 
     def label_words(self, text: str) -> list[tuple[str, str, float]]:
         """Each lettered word of a text with its label and marginal."""
-        words = [w for w in split_words(text) if _LETTER.search(w.decode("utf-8", "replace"))]
+        words = lettered(text)
         if not words or not self.field.labels:
             return []
         p = marginals(self.field.emissions(words)[None].astype(float), np.array([len(words)]), self.field.trans)[0]
@@ -237,18 +253,30 @@ class Predictor:
 
 
 def train_field(docs: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", train_docs: int = TRAIN_DOCS) -> Field:
-    """Fit on at most train_docs of the documents that ``learn`` picks, by the least hash of the id.
+    """Fit on at most train_docs of the documents that ``learn`` picks, as many of each language, by the least hash of the id.
 
-    A hash threshold leaves about twice that many before they are ordered, so what tasks send does not grow with their number.
+    A hash threshold leaves about twice that many before they are ordered, so what tasks send does not grow with their number;
+    what reaches the driver is bounded by train_docs * TEXT_RUNS runs of RUN_WORDS words.
     """
-    picked = docs.where(learn & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
-    total = picked.count()
-    rank = F.pmod(F.xxhash64(id_col), F.lit(1 << 40))
-    if total > 2 * train_docs:
-        picked = picked.where(rank < (1 << 40) * 2 * train_docs // total)
-    rows = picked.orderBy(rank, id_col).select(text_col, lang_col).limit(train_docs).collect()  # at most train_docs rows
-    field = Field(sorted({r[1] for r in rows}))
-    field.fit([r[0] for r in rows], [r[1] for r in rows])
+    picked = docs.where(learn & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"))
+    totals = {r["lang"]: r["n"] for r in picked.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row a language
+    if not totals:
+        return Field([])
+    share = max(1, train_docs // len(totals))
+    limits = docs.sparkSession.createDataFrame([(x, (1 << 40) * min(2 * share, n) // n) for x, n in totals.items()], "lang string, least long")
+    near = picked.withColumn("rank", F.pmod(F.xxhash64("id"), F.lit(1 << 40))).join(F.broadcast(limits), "lang").where(F.col("rank") < F.col("least"))  # one row a language
+    first = near.withColumn("nth", F.row_number().over(Window.partitionBy("lang").orderBy("rank", "id", "text"))).where(F.col("nth") <= share)
+
+    def job(batches):
+        for b in batches:
+            for lang, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                runs = text_runs(text)
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(runs), pa.string()), pa.array(runs, pa.string())], names=["lang", "run"])
+
+    rows = first.select("lang", "text").mapInArrow(job, "lang string, run string").collect()
+    rows = sorted((r["lang"], r["run"]) for r in rows)
+    field = Field(sorted(totals))
+    field.fit([r[1] for r in rows], [r[0] for r in rows])
     return field
 
 

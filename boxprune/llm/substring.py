@@ -79,7 +79,7 @@ class ShardIndex:
         n, self.width = len(text), width
         _, rank = np.unique(text, return_inverse=True)
         ranks, step = {1: rank}, 1
-        while step < SORTED:
+        while step < max(SORTED, width):
             nxt = np.full(n, -1, np.int64)
             nxt[: n - step] = rank[step:]
             key = rank * (n + 1) + nxt + 1
@@ -102,7 +102,7 @@ class ShardIndex:
     @staticmethod
     def _groups(order: np.ndarray, ranks: dict[int, np.ndarray], m: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         n, same, at = len(order), np.ones(len(order) - 1, bool), 0
-        for power in (64, 32, 16, 8, 4, 2, 1):
+        for power in sorted(ranks, reverse=True):
             if m & power:
                 r = np.full(n, -1, np.int64)
                 where = order + at
@@ -176,8 +176,12 @@ def anchors(t: Texts, width: int = WIDTH, gram: int = GRAM):
     return of, h, of[ok[begin]], grams[at[begin]], ok[begin], ok[last]
 
 
+#: What a text without its spaces is known by.
+_NODE = ["node", "more", "n_words"]
+
+
 def _base(docs: DataFrame, kind: str) -> DataFrame:
-    """id, n_words, node, and the digest of the words joined by one space."""
+    """id, n_words, two hashes of the words (they and the count stand for the text), and the digest of the words joined by one space."""
 
     def job(batches):
         for b in batches:
@@ -190,11 +194,13 @@ def _base(docs: DataFrame, kind: str) -> DataFrame:
                 total = np.zeros(len(of) + 1, np.uint64)
                 np.cumsum(mix(h + mix(place)), out=total[1:])
                 node = mix(total[first + n] - total[first] + n.astype(np.uint64))
+                np.cumsum(mix((h ^ U(0x8EBC6AF09C88C6E3)) + mix(place + U(0x589965CC75374CC3))), out=total[1:])
+                more = mix(total[first + n] - total[first])
                 raw = t.data.tobytes()
                 sha = [hashlib.sha256(b" ".join(raw[t.offsets[i] : t.offsets[i + 1]].split())).hexdigest() for i in range(t.n)]
-                yield pa.RecordBatch.from_arrays([ids.slice(at, t.n), pa.array(n.astype(np.int64)), pa.array(as_long(node)), pa.array(sha)], names=["id", "n_words", "node", "sha"])
+                yield pa.RecordBatch.from_arrays([ids.slice(at, t.n), pa.array(n.astype(np.int64)), pa.array(as_long(node)), pa.array(as_long(more)), pa.array(sha)], names=["id", "n_words", "node", "more", "sha"])
 
-    return docs.mapInArrow(job, f"id {kind}, n_words long, node long, sha string")
+    return docs.mapInArrow(job, f"id {kind}, n_words long, node long, more long, sha string")
 
 
 def _anchor_rows(firsts: DataFrame, width: int) -> DataFrame:
@@ -219,7 +225,7 @@ def _context_rows(joined: DataFrame, width: int) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(types)], names=names)
 
     def job(batches):
-        held: dict[int, list] = {}
+        held: dict[tuple[int, int], list] = {}
         for b in batches:
             rep, shared = b.column(0).to_numpy(), b.column(2)
             for at, t in slices(b.column(1)):
@@ -235,9 +241,9 @@ def _context_rows(joined: DataFrame, width: int) -> DataFrame:
                         key = int(mix(np.array([(words * _LANES[0] + mix(np.arange(len(words), dtype=np.uint64))).view(np.uint64).dot(_SPREAD[: len(words)]) + a[j]], np.uint64)).view(np.int64)[0])
                         r = int(rep[at + i])
                         rows.append((int(a[j].view(np.int64)), key, r, int(lo[j] - begin[i]), None))
-                        known = held.get(key)
+                        known = held.get((rows[-1][0], key))
                         if known is None:
-                            held[key] = [rows[-1][0], key, r, None, words.tobytes()]
+                            held[rows[-1][0], key] = [rows[-1][0], key, r, None, words.tobytes()]
                         elif r < known[2]:
                             known[2] = r
                 if rows:
@@ -255,11 +261,12 @@ _SPREAD = np.random.Generator(np.random.PCG64(99)).integers(1, 2**63, 4 * WIDTH,
 
 
 def _shard_runs(contexts: DataFrame, shards: int, width: int) -> DataFrame:
-    """context, first, count, least: runs of windows of each context with their smallest id."""
+    """anchor, context (together they stand for the context's words), first, count, least: runs of windows with their smallest id."""
 
     def job(table: pa.Table) -> pa.Table:
-        best: dict[int, list] = {}
-        for c, r, w in zip(*[table.column(k).to_pylist() for k in ("context", "rep", "words")], strict=True):
+        best: dict[tuple[int, int], list] = {}
+        for *c, r, w in zip(*[table.column(k).to_pylist() for k in ("anchor", "context", "rep", "words")], strict=True):
+            c = tuple(c)
             known = best.get(c)
             if known is None:
                 best[c] = [r, w]
@@ -273,11 +280,11 @@ def _shard_runs(contexts: DataFrame, shards: int, width: int) -> DataFrame:
         out: list[tuple] = []
         for k, least in zip(keys, index.windows(contexts_), strict=True):
             cut = np.flatnonzero(np.concatenate([[True], least[1:] != least[:-1]]))
-            out += [(k, int(a), int(b - a), int(least[a])) for a, b in zip(cut, np.append(cut[1:], len(least)), strict=True)]
-        return pa.table({n: pa.array([o[i] for o in out], pa.int64()) for i, n in enumerate(("context", "first", "count", "least"))})
+            out += [(*k, int(a), int(b - a), int(least[a])) for a, b in zip(cut, np.append(cut[1:], len(least)), strict=True)]
+        return pa.table({n: pa.array([o[i] for o in out], pa.int64()) for i, n in enumerate(("anchor", "context", "first", "count", "least"))})
 
     dealt = contexts.withColumn("shard", F.pmod("anchor", F.lit(shards)).cast("int"))
-    return dealt.groupBy("shard").applyInArrow(job, "context long, first long, count long, least long")
+    return dealt.groupBy("shard").applyInArrow(job, "anchor long, context long, first long, count long, least long")
 
 
 def _cut(texts: DataFrame, width: int) -> DataFrame:
@@ -303,10 +310,12 @@ def _cut(texts: DataFrame, width: int) -> DataFrame:
 
 def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH) -> DataFrame:
     """id, n_words, n_removed, kept_sha256 (of the kept words joined by one space). Ids are longs."""
+    if width > 4 * WIDTH // 2:
+        raise ValueError(f"windows of at most {2 * WIDTH} words")
     docs = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     base = stored(_base(docs, "bigint"))
-    reps = base.where(F.col("n_words") >= width).groupBy("node").agg(F.min("id").alias("rep"))
-    firsts = small_side(stored(base.join(reps, "node").where(F.col("id") == F.col("rep")).select("id").distinct()))
+    reps = base.where(F.col("n_words") >= width).groupBy(*_NODE).agg(F.min("id").alias("rep"))
+    firsts = small_side(stored(base.join(reps, _NODE).where(F.col("id") == F.col("rep")).select("id").distinct()))
     mine = docs.join(firsts, "id", "left_semi").select(F.col("id").alias("rep"), "text")
 
     found = stored(_anchor_rows(mine, width))
@@ -315,18 +324,18 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     wanted = stored(found.join(shared, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("anchors")))  # at most a document's own anchors
     joined = mine.join(wanted, "rep").select("rep", "text", "anchors")
     rows = stored(_context_rows(joined, width))
-    contexts, places = rows.where("words IS NOT NULL"), rows.where("words IS NULL").select("context", "rep", "start")
+    contexts, places = rows.where("words IS NOT NULL"), rows.where("words IS NULL").select("anchor", "context", "rep", "start")
     total = contexts.agg(F.coalesce(F.sum(F.length("words") / 8), F.lit(0)).alias("t")).first()["t"]
     runs = stored(_shard_runs(contexts.select("anchor", "context", "rep", "words"), max(1, int(total // SHARD_WORDS) + 1), width))
 
-    gone = places.join(runs, "context").where(F.col("least") < F.col("rep"))
+    gone = places.join(runs, ["anchor", "context"]).where(F.col("least") < F.col("rep"))
     gone = gone.select("rep", F.struct((F.col("start") + F.col("first")).alias("from"), (F.col("start") + F.col("first") + F.col("count") - 1 + width).alias("to")).alias("run"))
     gone = stored(gone.groupBy("rep").agg(F.collect_set("run").alias("runs")))  # at most a document's own windows
     hit = mine.join(small_side(stored(gone.select("rep"))), "rep", "left_semi")  # only texts that lose words are sent
     cut = stored(_cut(hit.join(gone, "rep").select("rep", "text", "runs"), width).dropDuplicates(["rep"]))
 
     whole = hashlib.sha256(b"").hexdigest()
-    out = base.join(reps.select("node", F.col("rep").alias("first_id")), "node", "left").join(cut, F.col("id") == F.col("rep"), "left")
+    out = base.join(reps.withColumnRenamed("rep", "first_id"), _NODE, "left").join(cut, F.col("id") == F.col("rep"), "left")
     copy = F.col("first_id") < F.col("id")
     return out.select(
         F.col("id").alias(id_col), "n_words",
