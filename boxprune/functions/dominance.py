@@ -6,6 +6,8 @@ far less squared reach to near); the answer is yes iff the sum is positive. The
 
 from __future__ import annotations
 
+from decimal import Decimal
+
 import numpy as np
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
@@ -14,15 +16,24 @@ from boxprune.functions.geometry import Box, axis_clearance, axis_reach, clamp,
 
 #: Number types of the test and how they are widened so that squares and their sums stay exact.
 MODES = {"byte": "bigint", "short": "bigint", "int": "decimal(38,0)", "bigint": "decimal(38,0)", "decimal": "decimal(38,0)", "float": "double", "double": "double"}
+#: Fractions of ``scale`` decimal digits are counted in units of the last one, as whole numbers.
+RATIONAL = "rational"
+
+
+def widened(box: Box, mode: str, scale: int = 0) -> Box:
+    if mode != RATIONAL:
+        return box.cast(MODES[mode])
+    whole = lambda c: (c.cast(f"decimal(38,{scale})") * F.lit(Decimal(10**scale))).cast("decimal(38,0)")
+    return Box([whole(c) for c in box.lo], [whole(c) for c in box.hi])
 
 
 def end_gap(p: Column, near: tuple[Column, Column], far: tuple[Column, Column]) -> Column:
     return sq(axis_clearance(p, *far)) - sq(axis_reach(p, *near))
 
 
-def score(o: Box, e: Box, b: Box, mode: str = "double") -> Column:
+def score(o: Box, e: Box, b: Box, mode: str = "double", scale: int = 0) -> Column:
     """Positive iff near e dominates far b from o. Null (overflow, missing bounds) means that nothing is proven."""
-    o, e, b = (x.cast(MODES[mode]) for x in (o, e, b))
+    o, e, b = (widened(x, mode, scale) for x in (o, e, b))
     return total(F.least(end_gap(ol, near, far), end_gap(oh, near, far)) for (ol, oh), near, far in zip(o.axes(), e.axes(), b.axes(), strict=True))
 
 
@@ -31,8 +42,8 @@ def tolerance(o: Box, e: Box, b: Box) -> Column:
     return F.lit((len(o.lo) + 8) * 2.0**-52) * (span_sq(o, e) + span_sq(o, b))
 
 
-def dominates(o: Box, e: Box, b: Box, safe: bool = False, mode: str = "double") -> Column:
-    s = score(o, e, b, mode)
+def dominates(o: Box, e: Box, b: Box, safe: bool = False, mode: str = "double", scale: int = 0) -> Column:
+    s = score(o, e, b, mode, scale)
     return s > tolerance(o, e, b) if safe else s > 0
 
 

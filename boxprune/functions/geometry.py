@@ -9,7 +9,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -104,6 +104,17 @@ def corners(box: Box) -> Column:
     return F.transform(F.sequence(F.lit(0), F.lit(2**dims - 1)), pick)
 
 
+def sample_in_box(boxes: DataFrame, box: Box, n: int, seed: int) -> DataFrame:
+    """n points of each box as further columns x_0 …: random convex combinations of its corners, so ends can be met but not passed."""
+    weights = [-F.log(1 - F.rand(seed + c)) for c in range(2 ** len(box.lo))]
+    rows = boxes.withColumn("sample", F.explode(F.sequence(F.lit(1), F.lit(n)))).withColumns({f"_w{c}": w for c, w in enumerate(weights)})
+    whole = total(F.col(f"_w{c}") for c in range(len(weights)))
+    # the corners at an axis' high end, by their share of all weight, say how far the point is from the low end
+    share = lambda i: total(F.col(f"_w{c}") for c in range(len(weights)) if c >> i & 1) / whole
+    points = {f"x_{i}": F.least(lo + (hi - lo) * share(i), hi) for i, (lo, hi) in enumerate(box.axes())}
+    return rows.withColumns(points).drop(*[f"_w{c}" for c in range(len(weights))])
+
+
 def contains(box: Box, p: list[Column]) -> Column:
     return reduce(lambda a, b: a & b, [x.between(lo, hi) for x, (lo, hi) in zip(p, box.axes(), strict=True)])
 

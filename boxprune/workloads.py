@@ -361,6 +361,16 @@ def _typed(kind: str, mode: str, axes: int = 2):
 _PARTS_DOM = f"{ctes(PARTS_COARSE)} {_TRI}, {sql_score(2)} > 0 AS dominated FROM o, t e, t b"
 for _name, _kind, _mode in (("dominance_short", "smallint", "short"), ("dominance_int", "int", "int"), ("dominance_bigint_exact", "bigint", "bigint"), ("dominance_decimal", "decimal(18,4)", "decimal"), ("dominance_float", "float", "float")):
     query(_PARTS_DOM, _name)(_typed(_kind, _mode))
+
+
+@query(_PARTS_DOM)
+def dominance_rational(spark, sf):
+    """Bounds in tenths, as decimals with a fraction; the answer is that of the whole numbers."""
+    df, o, e, b = _triples(spark, sf, PARTS_COARSE, PARTS_COARSE)
+    o, e, b = (Box([c / 10 for c in x.lo], [c / 10 for c in x.hi]).cast("decimal(18,1)") for x in (o, e, b))
+    return df.select(*[F.expr(x) for x in _IDS], D.dominates(o, e, b, mode=D.RATIONAL, scale=1).alias("dominated"))
+
+
 query(f"{ctes(PARTS_COARSE)} {_TRI}, {sql_score(1)} > 0 AS dominated FROM o, t e, t b", "dominance_byte")(_typed("tinyint", "byte", 1))
 
 
@@ -1002,7 +1012,7 @@ def map_bounds(spark, sf):
     return m.select("part_id", F.explode(pairs).alias("axis", "b")).select("part_id", "axis", "b.lo", "b.hi")
 
 
-@query()
+@query(f"{ctes(CUSTOMERS, SUPPLIERS)} {sql_kept(CUSTOMERS, SUPPLIERS, 3)}")
 def udtf_prune(spark, sf):
     """Kept pairs from a table function over each origin's survivors of the prefilter."""
     from boxprune.functions.table_functions import register_prune
