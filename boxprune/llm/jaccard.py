@@ -9,7 +9,7 @@ Every signature also carries how many tokens its set must have lost if nothing b
 sets meet only if neither has lost more than their sizes allow (this loses no link).
 
 Within a signature's list, every set is first compared with the member that has lost least. Lists that still hold two
-components take further members as hubs, up to 32 times as many in each round, one for each hash class, and compare them with the
+components take further members as hubs, up to 256 times as many in each round, one for each hash class, and compare them with the
 members of other components only. So a large group of near copies costs a few comparisons a member, the rounds are as many as
 the logarithm of the longest list, no list is joined with itself, none is capped, and no pair that may link is left out.
 
@@ -43,7 +43,7 @@ TRIPLE = 32
 #: Tokens in one counting bucket, about.
 BUCKET_TOKENS = 2_000_000
 #: Hubs of a list grow by this factor in each round.
-HUBS = 32
+HUBS = 256
 #: Nodes whose 64 bits stand for several sets, at most; about 70 are expected among 5e10 sets.
 CLASHES = 1 << 20
 
@@ -330,7 +330,7 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         """The links among pairs: those that the bitmaps leave are verified on whole sets."""
         near = pairs.join(marks.alias("p"), F.col("a") == F.col("p.node")).join(marks.alias("q"), F.col("b") == F.col("q.node")).where(_close("p", "q", num, den))
         near = stored(near.select("a", "b"))
-        if not near.limit(1).count():
+        if near.isEmpty():
             return near
         return stored(_verified(near, stored(_token_sets(docs, marks, near, k, folded, clashes)), num, den))
 
@@ -339,16 +339,16 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     comps = components(linked(tested))
     left = stored(_open(lists.join(hubs.select("sig", F.col("hub.node").alias("node")), ["sig", "node"], "left_anti"), comps))
     width = 1
-    while left.limit(1).count():
+    while not left.isEmpty():
         width *= HUBS
         hubs = left.groupBy("sig", F.pmod(F.xxhash64("node"), F.lit(width)).alias("class")).agg(F.min(F.struct("lost", "node", "n", "comp")).alias("hub")).drop("class")
         hubs = stored(hubs)
         pairs = stored(_met(left, hubs, num, den).join(tested, ["a", "b"], "left_anti"))
-        if pairs.limit(1).count():
+        if not pairs.isEmpty():
             tested = tested.union(pairs)
             named = linked(pairs).join(comps.withColumnRenamed("node", "a").withColumnRenamed("comp", "ca"), "a", "left").join(comps.withColumnRenamed("node", "b").withColumnRenamed("comp", "cb"), "b", "left")
             edges = stored(named.select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b"), F.col("a").alias("na"), F.col("b").alias("nb")))
-            if edges.limit(1).count():
+            if not edges.isEmpty():
                 merged = components(edges.select("a", "b"))
                 ends = edges.select(F.col("na").alias("node"), F.col("a").alias("comp")).union(edges.select("nb", "b"))
                 comps = comps.unionByName(ends.join(comps, "node", "left_anti").distinct())
