@@ -3,7 +3,10 @@
 Texts with the same word sequence are one node, standing at its smallest id. Every window of ``width`` words has
 one anchor, the position of the least hash among its short word runs, so equal windows have equal anchors. Only anchors found in two
 nodes or more go on; the words around each are its context, and equal contexts are sent once with their
-smallest id. Contexts are dealt to shards by anchor, so all occurrences of a window meet in one shard.
+smallest id. Contexts are dealt to shards by anchor, so all occurrences of a window meet in one shard. An anchor of more than
+``hot`` places, which might fill a shard, is split: its windows are grouped by their distance to the anchor, and the words that
+all windows of a group hold are a new anchor. A group that is still hot is split into single windows, whose anchor is all their
+words, so that only equal windows share it. Equal windows lie equally far from their anchor and stay together.
 
 A shard numbers its words and joins its contexts to one text with separators, whose suffixes are sorted by their first 64
 symbols. Of the index it keeps the transformed text as a wavelet matrix of packed bits with counts a machine word. Contexts
@@ -36,6 +39,10 @@ GRAM = 8
 SHARD_WORDS = 1_000_000
 #: Symbols by which suffixes are sorted; at least the width.
 SORTED = 64
+#: Places of an anchor beyond which it is split: about a fifth of a shard's words.
+HOT = 2_000
+#: Distances to a hot anchor in a group.
+GROUP = 8
 #: Contexts a task holds back to send each once.
 HELD = 50_000
 
@@ -147,12 +154,12 @@ class ShardIndex:
 
 
 def anchors(t: Texts, width: int = WIDTH, gram: int = GRAM):
-    """Words' owners and hashes; then for each anchor its text, hash, and first and last window (by word number)."""
+    """Words' owners and hashes; then for each anchor its text, hash, place, and first and last window (by word number)."""
     _, _, of, h = t.words()
     n = len(of) - width + 1
     none = np.zeros(0, np.int64)
     if n <= 0:
-        return of, h, none, none.view(np.uint64), none, none
+        return of, h, none, none.view(np.uint64), none, none, none
     grams = np.zeros(len(of) - gram + 1, np.uint64)
     for j in range(gram):
         grams += h[j : j + len(grams)] * _LANES[j]
@@ -168,12 +175,29 @@ def anchors(t: Texts, width: int = WIDTH, gram: int = GRAM):
     at = (low[:n] & ((U(1) << bits) - U(1))).astype(np.int64)
     ok = np.flatnonzero(of[:n] == of[width - 1 :])
     if not len(ok):
-        return of, h, none, none.view(np.uint64), none, none
+        return of, h, none, none.view(np.uint64), none, none, none
     at = at[ok]
     new = np.concatenate([[True], (at[1:] != at[:-1]) | (ok[1:] != ok[:-1] + 1)])
     begin = np.flatnonzero(new)
     last = np.append(begin[1:], len(ok)) - 1
-    return of, h, of[ok[begin]], grams[at[begin]], ok[begin], ok[last]
+    return of, h, of[ok[begin]], grams[at[begin]], at[begin], ok[begin], ok[last]
+
+
+_SPREAD = np.random.Generator(np.random.PCG64(99)).integers(1, 2**63, 4 * WIDTH, dtype=np.uint64) * U(2) + U(1)
+
+
+def _key(words: np.ndarray, anchor: np.uint64) -> np.uint64:
+    """A hash of word hashes in their order and of an anchor."""
+    spread = (words * _LANES[0] + mix(np.arange(len(words), dtype=np.uint64))) * _SPREAD[: len(words)]
+    return mix(np.array([spread.sum(dtype=np.uint64) ^ anchor], np.uint64))[0]
+
+
+def parts(h: np.ndarray, anchor: np.uint64, at: int, lo: int, hi: int, width: int, group: int):
+    """New anchor, first and last window of the windows lo to hi of an anchor at word ``at``, by groups of distances to it."""
+    for g in range((at - hi) // group, (at - lo) // group + 1):
+        latest = at - g * group
+        core = h[latest : latest - group + 1 + width]  # held by each window of the group
+        yield _key(core, anchor ^ U(g + 1)), max(lo, latest - group + 1), min(hi, latest)
 
 
 #: What a text without its spaces is known by.
@@ -210,14 +234,32 @@ def _anchor_rows(firsts: DataFrame, width: int) -> DataFrame:
         for b in batches:
             rep = b.column(0).to_numpy()
             for at, t in slices(b.column(1)):
-                _, _, own, a, _, _ = anchors(t, width)
+                _, _, own, a, _, _, _ = anchors(t, width)
                 yield pa.RecordBatch.from_arrays([pa.array(as_long(a)), pa.array(rep[at + own])], names=["anchor", "rep"])
 
     return firsts.mapInArrow(job, "anchor long, rep long")
 
 
+def _group_rows(hot: DataFrame, width: int) -> DataFrame:
+    """anchor, rep of each group of windows of the hot anchors of (rep, text, hot anchors)."""
+
+    def job(batches):
+        for b in batches:
+            rep, lists = b.column(0).to_numpy(), b.column(2)
+            for at, t in slices(b.column(1)):
+                _, h, own, a, place, lo, hi = anchors(t, width)
+                out = []
+                for i in range(t.n):
+                    s = slice(*np.searchsorted(own, [i, i + 1]))
+                    for j in np.flatnonzero(np.isin(a[s], lists[at + i].values.to_numpy().view(np.uint64))) + s.start:
+                        out += [(key, rep[at + i]) for key, _, _ in parts(h, a[j], int(place[j]), int(lo[j]), int(hi[j]), width, GROUP)]
+                yield pa.RecordBatch.from_arrays([pa.array(as_long(np.array([o[0] for o in out], np.uint64))), pa.array([int(o[1]) for o in out], pa.int64())], names=["anchor", "rep"])
+
+    return hot.mapInArrow(job, "anchor long, rep long")
+
+
 def _context_rows(joined: DataFrame, width: int) -> DataFrame:
-    """Two kinds of rows of (rep, text, shared anchors): contexts (words set, once a task, smallest rep) and occurrences."""
+    """Two kinds of rows of (rep, text, shared anchors, hot ones, hot groups): contexts (words set, once a task, smallest rep) and occurrences."""
     names = ["anchor", "context", "rep", "start", "words"]
 
     def batch(rows):
@@ -227,23 +269,29 @@ def _context_rows(joined: DataFrame, width: int) -> DataFrame:
     def job(batches):
         held: dict[tuple[int, int], list] = {}
         for b in batches:
-            rep, shared = b.column(0).to_numpy(), b.column(2)
+            rep = b.column(0).to_numpy()
             for at, t in slices(b.column(1)):
-                of, h, own, a, lo, hi = anchors(t, width)
+                of, h, own, a, place, lo, hi = anchors(t, width)
                 begin = np.searchsorted(of, np.arange(t.n))
                 bounds = np.searchsorted(own, np.arange(t.n + 1))
                 rows = []
                 for i in range(t.n):
-                    s = slice(bounds[i], bounds[i + 1])
-                    wanted = shared[at + i].values.to_numpy().view(np.uint64)
-                    for j in np.flatnonzero(np.isin(a[s], wanted)) + bounds[i]:
-                        words = h[lo[j] : hi[j] + width]
-                        key = int(mix(np.array([(words * _LANES[0] + mix(np.arange(len(words), dtype=np.uint64))).view(np.uint64).dot(_SPREAD[: len(words)]) + a[j]], np.uint64)).view(np.int64)[0])
-                        r = int(rep[at + i])
-                        rows.append((int(a[j].view(np.int64)), key, r, int(lo[j] - begin[i]), None))
-                        known = held.get((rows[-1][0], key))
+                    s, r = slice(bounds[i], bounds[i + 1]), int(rep[at + i])
+                    shared, hot, groups = (set(b.column(c)[at + i].values.to_numpy().view(np.uint64).tolist()) for c in (2, 3, 4))
+                    found = []
+                    for j in range(s.start, s.stop):
+                        if int(a[j]) in hot:
+                            for key, first, last in parts(h, a[j], int(place[j]), int(lo[j]), int(hi[j]), width, GROUP):
+                                found += parts(h, a[j], int(place[j]), first, last, width, 1) if int(key) in groups else [(key, first, last)]
+                        elif int(a[j]) in shared:
+                            found.append((a[j], int(lo[j]), int(hi[j])))
+                    for anchor, first, last in found:
+                        words = h[first : last + width]
+                        key = (int(anchor.view(np.int64)), int(_key(words, anchor).view(np.int64)))
+                        rows.append((*key, r, int(first - begin[i]), None))
+                        known = held.get(key)
                         if known is None:
-                            held[rows[-1][0], key] = [rows[-1][0], key, r, None, words.tobytes()]
+                            held[key] = [*key, r, None, words.tobytes()]
                         elif r < known[2]:
                             known[2] = r
                 if rows:
@@ -257,9 +305,6 @@ def _context_rows(joined: DataFrame, width: int) -> DataFrame:
     return joined.mapInArrow(job, "anchor long, context long, rep long, start long, words binary")
 
 
-_SPREAD = np.random.Generator(np.random.PCG64(99)).integers(1, 2**63, 4 * WIDTH, dtype=np.uint64) * U(2) + U(1)
-
-
 def _shard_runs(contexts: DataFrame, shards: int, width: int) -> DataFrame:
     """anchor, context (together they stand for the context's words), first, count, least: runs of windows with their smallest id."""
 
@@ -308,8 +353,8 @@ def _cut(texts: DataFrame, width: int) -> DataFrame:
     return texts.mapInArrow(job, "rep long, n_removed long, cut_sha string")
 
 
-def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH) -> DataFrame:
-    """id, n_words, n_removed, kept_sha256 (of the kept words joined by one space). Ids are longs."""
+def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, hot: int = HOT) -> DataFrame:
+    """id, n_words, n_removed, kept_sha256 (of the kept words joined by one space). Ids are longs; ``hot`` moves work only."""
     if width > 4 * WIDTH // 2:
         raise ValueError(f"windows of at most {2 * WIDTH} words")
     docs = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
@@ -319,10 +364,19 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     mine = docs.join(firsts, "id", "left_semi").select(F.col("id").alias("rep"), "text")
 
     found = stored(_anchor_rows(mine, width))
-    shared = found.groupBy("anchor").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo <> hi").select("anchor")
-    shared = stored(shared)  # a table of its own, so that the join below can split a hot anchor
-    wanted = stored(found.join(shared, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("anchors")))  # at most a document's own anchors
-    joined = mine.join(wanted, "rep").select("rep", "text", "anchors")
+    shared = found.groupBy("anchor").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi")
+    shared = stored(shared.select("anchor", (F.col("n") > hot).alias("hot")))  # a table of its own, so that the joins below can split a hot anchor
+    wanted = found.join(shared, "anchor").groupBy("rep")  # at most a document's own anchors
+    wanted = stored(wanted.agg(F.collect_set("anchor").alias("anchors"), F.collect_set(F.when(F.col("hot"), F.col("anchor"))).alias("hot")))
+    none = F.array().cast("array<bigint>")
+    if wanted.where(F.size("hot") > 0).limit(1).count():
+        grouped = stored(_group_rows(mine.join(wanted.where(F.size("hot") > 0), "rep").select("rep", "text", "hot"), width))
+        groups = stored(grouped.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).select("anchor"))
+        groups = stored(grouped.join(groups, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("groups")))
+        wanted = wanted.join(groups, "rep", "left").withColumn("groups", F.coalesce("groups", none))
+    else:
+        wanted = wanted.withColumn("groups", none)
+    joined = mine.join(wanted, "rep").select("rep", "text", "anchors", "hot", "groups")
     rows = stored(_context_rows(joined, width))
     contexts, places = rows.where("words IS NOT NULL"), rows.where("words IS NULL").select("anchor", "context", "rep", "start")
     total = contexts.agg(F.coalesce(F.sum(F.length("words") / 8), F.lit(0)).alias("t")).first()["t"]

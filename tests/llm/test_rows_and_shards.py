@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import public_tokenizers as P
-from tests.llm.test_operators import DOC, brute_components, brute_spans, check_packing, docs, prose
+from tests.llm.test_operators import DOC, ODD, brute_components, brute_passages, brute_spans, check_packing, docs, prose
 
 DOCS = "documents"
 
@@ -168,3 +168,42 @@ def test_registered_languages_held_out(spark, sf):
     lang = {r.doc_id: r.lang for r in read(spark, sf, DOCS).collect()}
     held = [r for r in op2_crf_language(spark, sf).collect() if r.held_out and lang[r.doc_id] and r.lang_pred != "und"]
     assert len(held) > 30 and np.mean([r.lang_pred == lang[r.doc_id] for r in held]) >= 0.95
+
+
+def test_hot_passages_equal_brute_force(spark):
+    """Passages with many surroundings, over windows of one and of several distances, split into groups and single windows."""
+    from boxprune.llm import substring
+
+    rng = np.random.default_rng(16)
+    line, passage, long = (prose(rng, n, 3000) for n in (12, 56, 130))
+    texts = [*ODD, "loop " * 130, "loop " * 70 + "end"]
+    for i in range(90):
+        around = [prose(rng, int(rng.integers(0, 70)), 3000 if i % 3 else 2) for _ in range(3)]
+        texts.append(" ".join([around[0], (line, passage, long)[i % 3], around[1], (passage, line, line)[i // 3 % 3], around[2]]))
+    texts += [t + " again" for t in texts[-20:]]
+    want = dict(enumerate(brute_passages(texts, 50)))
+    for hot in (1, 20, substring.HOT):
+        got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring.repeated_passages(docs(spark, texts), hot=hot).collect()}
+        assert got == want, hot
+
+
+def test_hot_anchor_is_dealt_to_many(spark):
+    from boxprune.llm import substring
+
+    rng = np.random.default_rng(17)
+    passage = prose(rng, 56, 3000)
+    texts = [f"{prose(rng, 50, 10**6)} {passage} {prose(rng, 50, 10**6)}" for _ in range(300)]
+    sizes = []
+    real = substring._shard_runs
+
+    def counted(contexts, shards, width):
+        sizes.append(contexts.groupBy("anchor").agg(F.countDistinct("context").alias("n")).agg(F.max("n")).first()[0])
+        return real(contexts, shards, width)
+
+    substring._shard_runs = counted
+    try:
+        substring.repeated_passages(docs(spark, texts)).count()
+        substring.repeated_passages(docs(spark, texts), hot=10).count()
+    finally:
+        substring._shard_runs = real
+    assert sizes[0] == 300 and sizes[1] <= 10
