@@ -43,6 +43,8 @@ SORTED = 64
 HOT = 2_000
 #: Distances to a hot anchor in a group.
 GROUP = 8
+#: Hot groups that each task is told (1.6 MB); more are joined to the documents that hold them.
+LISTED = 200_000
 #: Contexts a task holds back to send each once.
 HELD = 50_000
 
@@ -240,26 +242,35 @@ def _anchor_rows(firsts: DataFrame, width: int) -> DataFrame:
     return firsts.mapInArrow(job, "anchor long, rep long")
 
 
-def _group_rows(hot: DataFrame, width: int) -> DataFrame:
-    """anchor, rep of each group of windows of the hot anchors of (rep, text, hot anchors)."""
+def _group_rows(hot: DataFrame, width: int, by_rep: bool) -> DataFrame:
+    """anchor, rep, n: places of each group of windows of the hot anchors of (rep, text, hot anchors); added up in a task, rep 0, unless by rep."""
+
+    def batch(counts):
+        keys = list(counts)
+        return pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int64()), pa.array(list(counts.values()), pa.int64())], names=["anchor", "rep", "n"])
 
     def job(batches):
+        counts: dict[tuple[int, int], int] = {}
         for b in batches:
             rep, lists = b.column(0).to_numpy(), b.column(2)
             for at, t in slices(b.column(1)):
                 _, h, own, a, place, lo, hi = anchors(t, width)
-                out = []
                 for i in range(t.n):
                     s = slice(*np.searchsorted(own, [i, i + 1]))
                     for j in np.flatnonzero(np.isin(a[s], lists[at + i].values.to_numpy().view(np.uint64))) + s.start:
-                        out += [(key, rep[at + i]) for key, _, _ in parts(h, a[j], int(place[j]), int(lo[j]), int(hi[j]), width, GROUP)]
-                yield pa.RecordBatch.from_arrays([pa.array(as_long(np.array([o[0] for o in out], np.uint64))), pa.array([int(o[1]) for o in out], pa.int64())], names=["anchor", "rep"])
+                        for key, _, _ in parts(h, a[j], int(place[j]), int(lo[j]), int(hi[j]), width, GROUP):
+                            k = (int(key.view(np.int64)), int(rep[at + i]) if by_rep else 0)
+                            counts[k] = counts.get(k, 0) + 1
+                if len(counts) > HELD:
+                    yield batch(counts)
+                    counts.clear()
+        yield batch(counts)
 
-    return hot.mapInArrow(job, "anchor long, rep long")
+    return hot.mapInArrow(job, "anchor long, rep long, n long")
 
 
-def _context_rows(joined: DataFrame, width: int) -> DataFrame:
-    """Two kinds of rows of (rep, text, shared anchors, hot ones, hot groups): contexts (words set, once a task, smallest rep) and occurrences."""
+def _context_rows(joined: DataFrame, width: int, listed: np.ndarray) -> DataFrame:
+    """Two kinds of rows of (rep, text, shared anchors, hot ones, hot groups that are not listed): contexts (words set, once a task, smallest rep) and occurrences."""
     names = ["anchor", "context", "rep", "start", "words"]
 
     def batch(rows):
@@ -268,6 +279,7 @@ def _context_rows(joined: DataFrame, width: int) -> DataFrame:
 
     def job(batches):
         held: dict[tuple[int, int], list] = {}
+        known_groups = set(listed.tolist())
         for b in batches:
             rep = b.column(0).to_numpy()
             for at, t in slices(b.column(1)):
@@ -282,7 +294,7 @@ def _context_rows(joined: DataFrame, width: int) -> DataFrame:
                     for j in range(s.start, s.stop):
                         if int(a[j]) in hot:
                             for key, first, last in parts(h, a[j], int(place[j]), int(lo[j]), int(hi[j]), width, GROUP):
-                                found += parts(h, a[j], int(place[j]), first, last, width, 1) if int(key) in groups else [(key, first, last)]
+                                found += parts(h, a[j], int(place[j]), first, last, width, 1) if int(key) in known_groups or int(key) in groups else [(key, first, last)]
                         elif int(a[j]) in shared:
                             found.append((a[j], int(lo[j]), int(hi[j])))
                     for anchor, first, last in found:
@@ -368,16 +380,18 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     shared = stored(shared.select("anchor", (F.col("n") > hot).alias("hot")))  # a table of its own, so that the joins below can split a hot anchor
     wanted = found.join(shared, "anchor").groupBy("rep")  # at most a document's own anchors
     wanted = stored(wanted.agg(F.collect_set("anchor").alias("anchors"), F.collect_set(F.when(F.col("hot"), F.col("anchor"))).alias("hot")))
-    none = F.array().cast("array<bigint>")
+    wanted = wanted.withColumn("groups", F.array().cast("array<bigint>"))
+    listed = np.zeros(0, np.uint64)
     if wanted.where(F.size("hot") > 0).limit(1).count():
-        grouped = stored(_group_rows(mine.join(wanted.where(F.size("hot") > 0), "rep").select("rep", "text", "hot"), width))
-        groups = stored(grouped.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).select("anchor"))
-        groups = stored(grouped.join(groups, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("groups")))
-        wanted = wanted.join(groups, "rep", "left").withColumn("groups", F.coalesce("groups", none))
-    else:
-        wanted = wanted.withColumn("groups", none)
+        split = mine.join(wanted.where(F.size("hot") > 0), "rep").select("rep", "text", "hot")
+        groups = stored(_group_rows(split, width, False).groupBy("anchor").agg(F.sum("n").alias("n")).where(F.col("n") > hot).select("anchor"))
+        if groups.count() <= LISTED:
+            listed = np.array([r["anchor"] for r in groups.collect()], np.int64).view(np.uint64)  # at most LISTED
+        else:
+            own = stored(_group_rows(split, width, True).join(groups, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("own")))  # at most a document's groups
+            wanted = wanted.join(own, "rep", "left").withColumn("groups", F.coalesce("own", "groups")).drop("own")
     joined = mine.join(wanted, "rep").select("rep", "text", "anchors", "hot", "groups")
-    rows = stored(_context_rows(joined, width))
+    rows = stored(_context_rows(joined, width, listed))
     contexts, places = rows.where("words IS NOT NULL"), rows.where("words IS NULL").select("anchor", "context", "rep", "start")
     total = contexts.agg(F.coalesce(F.sum(F.length("words") / 8), F.lit(0)).alias("t")).first()["t"]
     runs = stored(_shard_runs(contexts.select("anchor", "context", "rep", "words"), max(1, int(total // SHARD_WORDS) + 1), width))

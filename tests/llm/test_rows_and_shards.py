@@ -170,7 +170,7 @@ def test_registered_languages_held_out(spark, sf):
     assert len(held) > 30 and np.mean([r.lang_pred == lang[r.doc_id] for r in held]) >= 0.95
 
 
-def test_hot_passages_equal_brute_force(spark):
+def test_hot_passages_equal_brute_force(spark, monkeypatch):
     """Passages with many surroundings, over windows of one and of several distances, split into groups and single windows."""
     from boxprune.llm import substring
 
@@ -182,7 +182,8 @@ def test_hot_passages_equal_brute_force(spark):
         texts.append(" ".join([around[0], (line, passage, long)[i % 3], around[1], (passage, line, line)[i // 3 % 3], around[2]]))
     texts += [t + " again" for t in texts[-20:]]
     want = dict(enumerate(brute_passages(texts, 50)))
-    for hot in (1, 20, substring.HOT):
+    for hot, listed in ((1, substring.LISTED), (20, substring.LISTED), (3, 0)):
+        monkeypatch.setattr(substring, "LISTED", listed)
         got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring.repeated_passages(docs(spark, texts), hot=hot).collect()}
         assert got == want, hot
 
