@@ -61,3 +61,26 @@ def test_query_by_tiles_equals_its_sql(spark, sf, monkeypatch, name):
     df = e.queries()[name](spark, sf)
     assert "lists" in df._jdf.queryExecution().optimizedPlan().toString()
     assert sorted(tuple(r) for r in df.collect()) == want
+
+
+@pytest.mark.parametrize("dims", [1, 3])
+def test_brute_force_in_blocks(spark, monkeypatch, dims):
+    """Blocks on every side, copies and ties, against plain numpy; large tables take this way."""
+    monkeypatch.setattr(T, "BLOCK", 300)
+    rng = np.random.default_rng(dims)
+    x = np.concatenate([rng.integers(0, 9, (900, dims)) / 3, rng.normal(0, 5, (700, dims))])
+    r, s = table(spark, x[::9]), table(spark, x, 1000)
+    monkeypatch.setattr(J, "TILED_PAIRS", 0)
+    got = J.knn_brute(r, s, 3, dims)
+    assert "job" in got._jdf.queryExecution().optimizedPlan().toString()
+    order = np.argsort(ids := np.array([row.id for row in s.collect()]))
+    y, ids = np.array([row[2:] for row in s.collect()])[order], ids[order]
+    want = []
+    for row in r.collect():
+        d2 = ((np.array(row[2:]) - y) ** 2).sum(axis=1)
+        near = np.argsort(d2, kind="stable")[:3]
+        want += [(row.id, int(ids[j]), n + 1, round(float(np.sqrt(d2[j])), 9)) for n, j in enumerate(near)]
+    assert tuples(got) == sorted(want)
+    both = J.knn_brute(s, s, 3, dims, exclude_self=True)
+    monkeypatch.undo()
+    assert tuples(both) == tuples(J.knn_brute(s, s, 3, dims, exclude_self=True))
