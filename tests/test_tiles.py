@@ -84,3 +84,17 @@ def test_brute_force_in_blocks(spark, monkeypatch, dims):
     both = J.knn_brute(s, s, 3, dims, exclude_self=True)
     monkeypatch.undo()
     assert tuples(both) == tuples(J.knn_brute(s, s, 3, dims, exclude_self=True))
+
+
+def test_footers_of_many_row_groups_and_files_are_one(spark, tmp_path):
+    import duckdb
+
+    import __spark_entry__ as e
+
+    con = duckdb.connect()
+    (tmp_path / "orders.parquet").mkdir()
+    con.execute("CREATE TABLE orders AS SELECT i AS o_orderkey, (i * 7 % 5003) / 4.0 AS o_totalprice FROM range(9000) g(i)")
+    for n in range(2):
+        con.execute(f"COPY (SELECT * FROM orders WHERE o_orderkey % 2 = {n}) TO '{tmp_path}/orders.parquet/{n}.parquet' (ROW_GROUP_SIZE 2048)")
+    got = [tuple(row) for row in e.queries()["manifest_footers"](spark, str(tmp_path)).collect()]
+    assert got == [tuple(row) for row in con.execute(e.oracle_sql()["manifest_footers"]).fetchall()]
