@@ -98,3 +98,15 @@ def test_footers_of_many_row_groups_and_files_are_one(spark, tmp_path):
         con.execute(f"COPY (SELECT * FROM orders WHERE o_orderkey % 2 = {n}) TO '{tmp_path}/orders.parquet/{n}.parquet' (ROW_GROUP_SIZE 2048)")
     got = [tuple(row) for row in e.queries()["manifest_footers"](spark, str(tmp_path)).collect()]
     assert got == [tuple(row) for row in con.execute(e.oracle_sql()["manifest_footers"]).fetchall()]
+
+
+def test_axis_visits_are_of_the_given_vectors(spark, sf):
+    import duckdb
+
+    import __spark_entry__ as e
+
+    df = e.queries()["axis_visits"](spark, sf)
+    assert df.inputFiles()
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{sf}/embeddings.parquet'")
+    assert sorted(tuple(row) for row in df.collect()) == sorted(con.execute(e.oracle_sql()["axis_visits"]).fetchall())
