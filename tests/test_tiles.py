@@ -110,3 +110,21 @@ def test_axis_visits_are_of_the_given_vectors(spark, sf):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{sf}/embeddings.parquet'")
     assert sorted(tuple(row) for row in df.collect()) == sorted(con.execute(e.oracle_sql()["axis_visits"]).fetchall())
+
+
+def test_equal_boxes_are_pruned_as_one(spark, monkeypatch):
+    """Several partitions of the same bounds: the pairs and dominator rows of the flat rule, and no pair of boxes between copies."""
+    from boxprune.plans import prune
+
+    rng = np.random.default_rng(3)
+    rows = [(n, int(rng.integers(1, 4)), *map(float, np.sort(rng.integers(0, 60, (2, 2)), axis=0).T.ravel())) for n in range(30)]
+    rows = [(n + 100 * c, m, *box) for n, m, *box in rows for c in range(3)]
+    m = spark.createDataFrame(rows, "part_id long, n_rows long, lo_0 double, hi_0 double, lo_1 double, hi_1 double")
+    key = lambda df: sorted(tuple(r) for r in df.select("origin_id", "part_id", "dominator_rows").collect())
+    want = key(prune.keep_two_step(m, m, 5, 2))
+    seen = []
+    flat = prune.keep_two_step
+    monkeypatch.setattr(prune, "keep_two_step", lambda o, t, *more: seen.append((o.count(), t.count())) or flat(o, t, *more))
+    assert key(prune.keep_counted(m, m, 5, 2)) == want
+    assert max(seen) <= (30, 30)
+    assert key(prune.keep_counted(m, m, 5, 2, self_join=True)) == key(flat(m, m, 5, 2, True))
