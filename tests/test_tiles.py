@@ -39,6 +39,7 @@ def test_tiles_equal_brute_force(spark, monkeypatch, dims):
 #: Queries that go by tiles at size.
 TILED = [
     "knn_pruned_k10",
+    "knn_urgent",
     "knn_pruned_self",
     "knn_pruned_k5",
     "knn_pruned_k1",
