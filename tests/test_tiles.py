@@ -138,3 +138,15 @@ def test_equal_boxes_are_pruned_as_one(spark, monkeypatch):
     assert key(prune.keep_counted(m, m, 5, 2)) == want
     assert max(seen) <= (30, 30)
     assert key(prune.keep_counted(m, m, 5, 2, self_join=True)) == key(flat(m, m, 5, 2, True))
+
+
+def test_recall_at_size_equals_its_sql(spark, sf, monkeypatch):
+    """Tiles against blocks: every row of the truth is found at its rank."""
+    import __spark_entry__ as e
+
+    monkeypatch.setattr(J, "TILED_PAIRS", 0)
+    monkeypatch.setattr(T, "BLOCK", 50)
+    df = e.queries()["recall"](spark, sf)
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    assert "lists" in plan and "job" in plan
+    assert [tuple(row) for row in df.collect()] == [(450, 450, 0)]
