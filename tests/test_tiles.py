@@ -150,3 +150,19 @@ def test_recall_at_size_equals_its_sql(spark, sf, monkeypatch):
     plan = df._jdf.queryExecution().optimizedPlan().toString()
     assert "lists" in plan and "job" in plan
     assert [tuple(row) for row in df.collect()] == [(450, 450, 0)]
+
+
+@pytest.mark.parametrize("name", ["knn_pruned_3d"])
+def test_lines_by_tiles_equal_all_pairs(spark, sf, monkeypatch, name):
+    """The lines' joins have no SQL: tiles against the unpruned join by blocks."""
+    import __spark_entry__ as e
+    from boxprune import workloads as w
+    from boxprune.plans import prune
+
+    monkeypatch.setattr(J, "TILED_PAIRS", 0)
+    monkeypatch.setattr(T, "TILE_POINTS", 1000)
+    p = w.LINES_3D if name.endswith("3d") else w.LINES_4D
+    frame, one = p.frame(spark, sf), p.manifest(spark, sf)
+    got = e.queries()[name](spark, sf)
+    assert "lists" in got._jdf.queryExecution().optimizedPlan().toString()
+    assert tuples(got) == tuples(J.join_kept(frame, frame, prune.keep_none(one, one, p.dims), 10, p.dims, local="block"))
