@@ -43,7 +43,7 @@ SORTED = 64
 HOT = 2_000
 #: Distances to a hot anchor in a group.
 GROUP = 8
-#: Hot groups that each task is told (1.6 MB); more are joined to the documents that hold them.
+#: Hot anchors, and hot groups, that each task is told (1.6 MB); more are joined to the documents that hold them.
 LISTED = 200_000
 #: Contexts a task holds back to send each once.
 HELD = 50_000
@@ -242,8 +242,9 @@ def _anchor_rows(firsts: DataFrame, width: int) -> DataFrame:
     return firsts.mapInArrow(job, "anchor long, rep long")
 
 
-def _group_rows(hot: DataFrame, width: int, by_rep: bool) -> DataFrame:
-    """anchor, rep, n: places of each group of windows of the hot anchors of (rep, text, hot anchors); added up in a task, rep 0, unless by rep."""
+def _group_rows(texts: DataFrame, width: int, told: np.ndarray, by_rep: bool) -> DataFrame:
+    """anchor, rep, n: places of each group of windows of the hot anchors, which are told or, with (rep, text, hot anchors), the text's own;
+    added up in a task, rep 0, unless by rep."""
 
     def batch(counts):
         keys = list(counts)
@@ -255,9 +256,10 @@ def _group_rows(hot: DataFrame, width: int, by_rep: bool) -> DataFrame:
             rep, lists = b.column(0).to_numpy(), b.column(2)
             for at, t in slices(b.column(1)):
                 _, h, own, a, place, lo, hi = anchors(t, width)
+                is_told, bounds = np.isin(a, told), np.searchsorted(own, np.arange(t.n + 1))
                 for i in range(t.n):
-                    s = slice(*np.searchsorted(own, [i, i + 1]))
-                    for j in np.flatnonzero(np.isin(a[s], lists[at + i].values.to_numpy().view(np.uint64))) + s.start:
+                    s = slice(bounds[i], bounds[i + 1])
+                    for j in np.flatnonzero(is_told[s] | np.isin(a[s], lists[at + i].values.to_numpy().view(np.uint64))) + s.start:
                         for key, _, _ in parts(h, a[j], int(place[j]), int(lo[j]), int(hi[j]), width, GROUP):
                             k = (int(key.view(np.int64)), int(rep[at + i]) if by_rep else 0)
                             counts[k] = counts.get(k, 0) + 1
@@ -266,11 +268,12 @@ def _group_rows(hot: DataFrame, width: int, by_rep: bool) -> DataFrame:
                     counts.clear()
         yield batch(counts)
 
-    return hot.mapInArrow(job, "anchor long, rep long, n long")
+    return texts.mapInArrow(job, "anchor long, rep long, n long")
 
 
-def _context_rows(joined: DataFrame, width: int, listed: np.ndarray) -> DataFrame:
-    """Two kinds of rows of (rep, text, shared anchors, hot ones, hot groups that are not listed): contexts (words set, once a task, smallest rep) and occurrences."""
+def _context_rows(joined: DataFrame, width: int, told: np.ndarray, listed: np.ndarray) -> DataFrame:
+    """Two kinds of rows of (rep, text, shared anchors, hot ones that are not told, hot groups that are not listed): contexts (words set, once a
+    task, smallest rep) and occurrences."""
     names = ["anchor", "context", "rep", "start", "words"]
 
     def batch(rows):
@@ -279,7 +282,7 @@ def _context_rows(joined: DataFrame, width: int, listed: np.ndarray) -> DataFram
 
     def job(batches):
         held: dict[tuple[int, int], list] = {}
-        known_groups = set(listed.tolist())
+        known_hot, known_groups = set(told.tolist()), set(listed.tolist())
         for b in batches:
             rep = b.column(0).to_numpy()
             for at, t in slices(b.column(1)):
@@ -292,7 +295,7 @@ def _context_rows(joined: DataFrame, width: int, listed: np.ndarray) -> DataFram
                     shared, hot, groups = (set(b.column(c)[at + i].values.to_numpy().view(np.uint64).tolist()) for c in (2, 3, 4))
                     found = []
                     for j in range(s.start, s.stop):
-                        if int(a[j]) in hot:
+                        if int(a[j]) in known_hot or int(a[j]) in hot:
                             for key, first, last in parts(h, a[j], int(place[j]), int(lo[j]), int(hi[j]), width, GROUP):
                                 found += parts(h, a[j], int(place[j]), first, last, width, 1) if int(key) in known_groups or int(key) in groups else [(key, first, last)]
                         elif int(a[j]) in shared:
@@ -378,20 +381,27 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     found = stored(_anchor_rows(mine, width))
     shared = found.groupBy("anchor").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi")
     shared = stored(shared.select("anchor", (F.col("n") > hot).alias("hot")))  # a table of its own, so that the joins below can split a hot anchor
-    wanted = found.join(shared, "anchor").groupBy("rep")  # at most a document's own anchors
-    wanted = stored(wanted.agg(F.collect_set("anchor").alias("anchors"), F.collect_set(F.when(F.col("hot"), F.col("anchor"))).alias("hot")))
-    wanted = wanted.withColumn("groups", F.array().cast("array<bigint>"))
-    listed = np.zeros(0, np.uint64)
-    if wanted.where(F.size("hot") > 0).limit(1).count():
-        split = mine.join(wanted.where(F.size("hot") > 0), "rep").select("rep", "text", "hot")
-        groups = stored(_group_rows(split, width, False).groupBy("anchor").agg(F.sum("n").alias("n")).where(F.col("n") > hot).select("anchor"))
+    none, known = F.array().cast("array<bigint>"), lambda df: np.array([r["anchor"] for r in df.select("anchor").collect()], np.int64).view(np.uint64)
+    hot_anchors = shared.where("hot")
+    told, listed, n_hot = np.zeros(0, np.uint64), np.zeros(0, np.uint64), hot_anchors.count()
+    own_hot = none
+    if n_hot <= LISTED:
+        told = known(hot_anchors)  # at most LISTED
+    else:
+        own_hot = F.collect_set(F.when(F.col("hot"), F.col("anchor")))
+    wanted = found.join(shared, "anchor").groupBy("rep").agg(F.collect_set("anchor").alias("anchors"), own_hot.alias("hot"))  # at most a document's own anchors
+    wanted = stored(wanted).withColumn("groups", none)
+    if n_hot:
+        # tasks that are told the hot anchors read the texts where they lie
+        split = mine.select("rep", "text", none.alias("hot")) if len(told) else mine.join(wanted.where(F.size("hot") > 0), "rep").select("rep", "text", "hot")
+        groups = stored(_group_rows(split, width, told, False).groupBy("anchor").agg(F.sum("n").alias("n")).where(F.col("n") > hot).select("anchor"))
         if groups.count() <= LISTED:
-            listed = np.array([r["anchor"] for r in groups.collect()], np.int64).view(np.uint64)  # at most LISTED
+            listed = known(groups)  # at most LISTED
         else:
-            own = stored(_group_rows(split, width, True).join(groups, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("own")))  # at most a document's groups
+            own = stored(_group_rows(split, width, told, True).join(groups, "anchor", "left_semi").groupBy("rep").agg(F.collect_set("anchor").alias("own")))  # at most a document's groups
             wanted = wanted.join(own, "rep", "left").withColumn("groups", F.coalesce("own", "groups")).drop("own")
     joined = mine.join(wanted, "rep").select("rep", "text", "anchors", "hot", "groups")
-    rows = stored(_context_rows(joined, width, listed))
+    rows = stored(_context_rows(joined, width, told, listed))
     contexts, places = rows.where("words IS NOT NULL"), rows.where("words IS NULL").select("anchor", "context", "rep", "start")
     total = contexts.agg(F.coalesce(F.sum(F.length("words") / 8), F.lit(0)).alias("t")).first()["t"]
     runs = stored(_shard_runs(contexts.select("anchor", "context", "rep", "words"), max(1, int(total // SHARD_WORDS) + 1), width))

@@ -208,3 +208,26 @@ def test_hot_anchor_is_dealt_to_many(spark):
     finally:
         substring._shard_runs = real
     assert sizes[0] == 300 and sizes[1] <= 10
+
+
+def test_hot_anchors_are_told_to_tasks(spark):
+    """Groups of hot anchors are counted where the texts lie: no join carries the texts for it, unless there are too many anchors to tell."""
+    from boxprune.llm import substring
+
+    rng = np.random.default_rng(18)
+    passage = prose(rng, 56, 3000)
+    texts = [f"{prose(rng, 20, 10**6)} {passage} {prose(rng, 20, 10**6)}" for _ in range(60)]
+    plans = []
+    real = substring._group_rows
+
+    def seen(texts, *more):
+        plans.append(texts._jdf.queryExecution().optimizedPlan().toString())
+        return real(texts, *more)
+
+    substring._group_rows = seen
+    try:
+        got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in substring.repeated_passages(docs(spark, texts), hot=10).collect()}
+    finally:
+        substring._group_rows = real
+    assert got == dict(enumerate(brute_passages(texts, 50)))
+    assert len(plans) == 1 and "Inner" not in plans[0]
