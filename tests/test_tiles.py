@@ -166,3 +166,21 @@ def test_lines_by_tiles_equal_all_pairs(spark, sf, monkeypatch, name):
     got = e.queries()[name](spark, sf)
     assert "lists" in got._jdf.queryExecution().optimizedPlan().toString()
     assert tuples(got) == tuples(J.join_kept(frame, frame, prune.keep_none(one, one, p.dims), 10, p.dims, local="block"))
+
+
+def test_numbered_lines_come_in_waves(spark, sf, monkeypatch):
+    """Shares of the lines hold each row once, under the id that it has among all, and are dealt one after the other."""
+    from boxprune import workloads as w
+
+    p = w.LINES_3D
+    frame = p.frame(spark, sf)
+    key = lambda df: sorted(tuple(row) for row in df.collect())
+    shares = [key(df) for df in frame._waves(3)]
+    assert all(shares) and sorted(sum(shares, [])) == key(frame)
+    monkeypatch.setattr(T, "WAVE_ROWS", 0)
+    counts = []
+    real = T.stored
+    monkeypatch.setattr(T, "stored", lambda *frames: counts.append(len(frames)) or real(*frames))
+    layout = T.Layout(np.zeros((1, 3)), 1)
+    assert sorted(tuple(row)[1:] for row in T._dealt(frame, layout, 3, 1).collect()) == sorted((row[0], *row[2:]) for row in key(frame))
+    assert counts == [3]
