@@ -184,3 +184,16 @@ def test_numbered_lines_come_in_waves(spark, sf, monkeypatch):
     layout = T.Layout(np.zeros((1, 3)), 1)
     assert sorted(tuple(row)[1:] for row in T._dealt(frame, layout, 3, 1).collect()) == sorted((row[0], *row[2:]) for row in key(frame))
     assert counts == [3]
+
+
+def test_lists_with_many_ties_are_dealt_to_more_tasks(spark, monkeypatch):
+    """Sixty rows at one place have lists of all sixty: their tile is dealt by the rows of lists, not of origins."""
+    x = np.concatenate([np.random.default_rng(2).normal(0, 1, (40, 2)), np.full((60, 2), 0.5)])
+    s = table(spark, x)
+    monkeypatch.setattr(T, "LIST_ROWS", 500)
+    seen = []
+    real = T._chunked
+    monkeypatch.setattr(T, "_chunked", lambda *more: seen.append(real(*more)) or seen[-1])
+    got = T.knn_tiles(s, s, 3, 2, exclude_self=True, ties="all")
+    assert [row.chunks for row in seen[0].collect()] == [9]  # 100 rows of 4 + (40 + 3600) / 100 each
+    assert tuples(got) == tuples(J.knn_brute(s, s, 3, 2, exclude_self=True, ties="all"))
