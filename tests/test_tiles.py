@@ -197,3 +197,35 @@ def test_lists_with_many_ties_are_dealt_to_more_tasks(spark, monkeypatch):
     got = T.knn_tiles(s, s, 3, 2, exclude_self=True, ties="all")
     assert [row.chunks for row in seen[0].collect()] == [9]  # 100 rows of 4 + (40 + 3600) / 100 each
     assert tuples(got) == tuples(J.knn_brute(s, s, 3, 2, exclude_self=True, ties="all"))
+
+
+@pytest.mark.parametrize("other", [False, True])
+def test_whole_tiles_are_shuffled_once(spark, monkeypatch, other):
+    """Where no tile is too large for a task, its rows are shuffled once for all steps, and no least rows are stored beside them."""
+    monkeypatch.setattr(T, "TILE_POINTS", 60)
+    rng = np.random.default_rng(5)
+    s = table(spark, np.concatenate([rng.normal(0, 1, (300, 2)), rng.integers(0, 3, (60, 2))]), 1000)
+    r = table(spark, rng.normal(0, 1, (50, 2))) if other else s
+    dealt, real = [], T.stored
+    monkeypatch.setattr(T, "stored", lambda *frames: dealt.append("id" in frames[0].columns) or real(*frames))
+    got = T.knn_tiles(r, s, 4, 2, exclude_self=not other)
+    assert tuples(got) == tuples(J.knn_brute(r, s, 4, 2, exclude_self=not other))
+    assert sum(dealt) == 1 + other
+    got.collect()
+    assert "ReusedExchange" in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_points_far_from_the_border_are_not_searched(monkeypatch):
+    """Bounds in place of distances are only where the border is farther than either."""
+    rng = np.random.default_rng(6)
+    x = np.concatenate([rng.random((3000, 2)), np.full((50, 2), 0.5)])
+    p = T.Places(x, np.arange(len(x)))
+    border = np.minimum(p.x, 1 - p.x).min(axis=1) ** 2
+    searched, real = [], T._squares
+    monkeypatch.setattr(T, "_squares", lambda a, b: searched.append(len(a)) or real(a, b))
+    want = p.search(p.x, 5)[3]
+    every = sum(searched)
+    last = p.search(p.x, 5, border=border)[3]
+    near = last >= border
+    assert 0 < near.sum() and np.array_equal(last[near], want[near]) and (last >= want).all()
+    assert sum(searched) - every < 0.75 * every
