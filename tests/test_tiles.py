@@ -229,3 +229,14 @@ def test_points_far_from_the_border_are_not_searched(monkeypatch):
     near = last >= border
     assert 0 < near.sum() and np.array_equal(last[near], want[near]) and (last >= want).all()
     assert sum(searched) - every < 0.75 * every
+
+
+def test_blocks_of_the_brute_force_are_merged(spark, monkeypatch):
+    """Several blocks of either side, of unequal sizes, with rows beside the groups of 64 and several rows at a place."""
+    monkeypatch.setattr(T, "BLOCK", 150)
+    monkeypatch.setattr(T, "TRAIN_BLOCK", 700)
+    monkeypatch.setattr(T, "AT_ONCE", 5000)
+    rng = np.random.default_rng(8)
+    s = table(spark, np.concatenate([rng.normal(0, 5, (1500, 2)), np.repeat(rng.normal(0, 1, (3, 2)), 40, axis=0)]), 1000)
+    r = table(spark, rng.normal(0, 5, (400, 2)))
+    assert tuples(T.knn_blocks(r, s, 3, 2)) == tuples(J.knn_brute(r, s, 3, 2))
