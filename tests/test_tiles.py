@@ -240,3 +240,28 @@ def test_blocks_of_the_brute_force_are_merged(spark, monkeypatch):
     s = table(spark, np.concatenate([rng.normal(0, 5, (1500, 2)), np.repeat(rng.normal(0, 1, (3, 2)), 40, axis=0)]), 1000)
     r = table(spark, rng.normal(0, 5, (400, 2)))
     assert tuples(T.knn_blocks(r, s, 3, 2)) == tuples(J.knn_brute(r, s, 3, 2))
+
+
+@pytest.mark.parametrize("dims", [1, 2, 3])
+def test_many_boxes_are_pruned_in_blocks(spark, monkeypatch, dims):
+    """Distinct boxes beyond the flat plan: its pairs and dominator rows, without a row for a pair before pairs are known."""
+    from pyspark.sql import functions as F
+
+    from boxprune.plans import blocks, prune
+
+    rng = np.random.default_rng(dims)
+    lo = rng.integers(0, 90, (70, dims)) / 2
+    ends = np.stack([lo, lo + rng.integers(0, 9, (70, dims)) / 2], axis=2).reshape(70, -1)
+    rows = [(None if n == 5 else f"p{n}", int(rng.integers(1, 5)), *map(float, box)) for n, box in enumerate([*ends, *ends[:9]])]
+    m = spark.createDataFrame(rows, "part_id string, n_rows long, " + ", ".join(f"{e}_{i} double" for i in range(dims) for e in ("lo", "hi")))
+    half = m.withColumn("usable", ~F.col("part_id").isin("p1", "p33") | F.col("part_id").isNull())
+    key = lambda df: sorted((str(r.origin_id), str(r.part_id), r.dominator_rows) for r in df.collect())
+    cases = [(m, m, 1, False, False), (m, m, 6, False, False), (m, m, 6, True, False), (half, m, 4, True, True), (m, half, 4, False, True)]
+    want = [key(prune.keep_declared(o, t, k, dims, own, safe)) for o, t, k, own, safe in cases]
+    assert all(0 < len(w) < 79 * 79 for w in want) and any(r[2] for r in want[1])
+    monkeypatch.setattr(prune, "FLAT_TRIPLES", 0)
+    monkeypatch.setattr(blocks, "BLOCK_ORIGINS", 20)
+    monkeypatch.setattr(blocks, "FIRST", 3)
+    monkeypatch.setattr(blocks, "AT_ONCE", 50)
+    monkeypatch.setattr(prune, "prefiltered", None)
+    assert [key(prune.keep_counted(o, t, k, dims, own, safe)) for o, t, k, own, safe in cases] == want
