@@ -265,3 +265,40 @@ def test_many_boxes_are_pruned_in_blocks(spark, monkeypatch, dims):
     monkeypatch.setattr(blocks, "AT_ONCE", 50)
     monkeypatch.setattr(prune, "prefiltered", None)
     assert [key(prune.keep_counted(o, t, k, dims, own, safe)) for o, t, k, own, safe in cases] == want
+
+
+def test_search_squares_the_nearest_leaves_only(monkeypatch):
+    """Other leaves go by a product of matrices first; lists are those of all distances, also far from the origin and with ties."""
+    rng = np.random.default_rng(9)
+    x = np.concatenate([rng.random((4000, 4)), rng.integers(0, 4, (500, 4)) / 3, np.repeat(rng.random((3, 4)), 20, axis=0)])
+    for shift in (0.0, 1e6):
+        y = x + shift
+        p = T.Places(y, rng.permutation(len(y)))
+        cells, real = [], T._squares
+        monkeypatch.setattr(T, "_squares", lambda a, b: cells.append(len(a) * len(b)) or real(a, b))
+        number, ids, d2, last = p.search(p.x, 10)
+        monkeypatch.undo()
+        assert sum(cells) < 500 * len(p.x)
+        got = [set() for _ in p.x]
+        for n, i, d in zip(number.tolist(), ids.tolist(), d2.tolist(), strict=True):
+            got[n].add((i, d))
+        for n in [*range(0, len(p.x), 40), *np.flatnonzero(p.count > 1)]:
+            every = real(p.x[n : n + 1], p.rows)[0]
+            assert last[n] == np.sort(every)[9]
+            assert got[n] == {(int(p.ids[j]), float(every[j])) for j in np.flatnonzero(every <= last[n])}
+
+
+@pytest.mark.parametrize("own", [False, True])
+def test_pairs_of_many_tiles_are_kept_in_blocks(spark, monkeypatch, own):
+    from boxprune.plans import prune
+    from boxprune.sources.manifest import validated
+
+    rng = np.random.default_rng(4)
+    lo = rng.random((60, 4)) * 9
+    rows = [(n, int(rng.integers(1, 9)), *map(float, np.stack([a, b], axis=1).ravel())) for n, (a, b) in enumerate(zip(lo, lo + rng.random((60, 4)), strict=True))]
+    m = validated(spark.createDataFrame(rows, "part_id long, n_rows long, " + ", ".join(f"{e}_{i} double" for i in range(4) for e in ("lo", "hi"))), 4)
+    key = lambda df: sorted(tuple(r) for r in df.collect())
+    want = key(prune.keep_pairs(m, m, 5, 4, plan="declared", self_join=own))
+    monkeypatch.setattr(prune, "FLAT_TRIPLES", 0)
+    monkeypatch.setattr(prune, "prefiltered", None)
+    assert key(prune.keep_pairs(m, m, 5, 4, self_join=own)) == want and len(want) < 3000
